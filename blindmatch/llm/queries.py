@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from blindmatch.llm import exact_dedup, mixture, url_filter
+from blindmatch.llm import exact_dedup, mixture, substring_dedup, url_filter
 
 #: Days over which the derived list history and fetch days run.
 DAYS = 360
@@ -105,5 +105,22 @@ mixed AS (
 
 SQL_OP10 = "WITH " + _SQL_MIX.format(docs="documents") + " SELECT * FROM mixed"
 
-QUERIES = {"op1_url_filter": op1_url_filter, "op6_exact_dedup": op6_exact_dedup, "op10_mix_sources": op10_mix_sources}
-ORACLES = {"op1_url_filter": SQL_OP1, "op6_exact_dedup": SQL_OP6, "op10_mix_sources": SQL_OP10}
+
+def op3_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_dedup.remove_repeats(table(spark, sf_dir, "documents")).select("doc_id", "n_words", "n_removed", "kept_sha256")
+
+
+SQL_OP3 = r"""
+WITH w AS (SELECT doc_id, coalesce(regexp_extract_all(text, '[^\x20\x09-\x0D]+'), []) AS words FROM documents),
+p AS (SELECT doc_id, words, unnest(range(1, len(words) - 11)) AS i FROM w WHERE len(words) >= 13),
+h AS (SELECT doc_id, i, array_to_string(words[i:i + 12], ' ') AS g FROM p),
+o AS (SELECT g, min(doc_id) AS origin FROM h GROUP BY g),
+gone AS (SELECT DISTINCT doc_id, unnest(range(i, i + 13)) AS i FROM h JOIN o USING (g) WHERE origin < doc_id),
+words AS (SELECT doc_id, unnest(words) AS word, unnest(range(1, len(words) + 1)) AS i FROM w),
+kept AS (
+  SELECT doc_id, count(*) AS n_kept, string_agg(word, ' ' ORDER BY i) AS text FROM words ANTI JOIN gone USING (doc_id, i) GROUP BY doc_id)
+SELECT doc_id, len(words) AS n_words, len(words) - coalesce(n_kept, 0) AS n_removed, sha256(coalesce(text, '')) AS kept_sha256
+FROM w LEFT JOIN kept USING (doc_id)"""
+
+QUERIES = {"op1_url_filter": op1_url_filter, "op3_substring_dedup": op3_substring_dedup, "op6_exact_dedup": op6_exact_dedup, "op10_mix_sources": op10_mix_sources}
+ORACLES = {"op1_url_filter": SQL_OP1, "op3_substring_dedup": SQL_OP3, "op6_exact_dedup": SQL_OP6, "op10_mix_sources": SQL_OP10}
