@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from blindmatch.llm import exact_dedup, mixture, substring_dedup, url_filter
+from blindmatch.llm import bpe, exact_dedup, mixture, substring_dedup, url_filter
 
 #: Days over which the derived list history and fetch days run.
 DAYS = 360
@@ -106,6 +106,13 @@ mixed AS (
 SQL_OP10 = "WITH " + _SQL_MIX.format(docs="documents") + " SELECT * FROM mixed"
 
 
+def op2_byte_bpe(spark: SparkSession, sf_dir: str, rank_file: str | None = None) -> DataFrame:
+    import public_tokenizers
+
+    ranks = bpe.load_ranks(rank_file or public_tokenizers.path("byte_bpe_multi_50k.tiktoken"))
+    return bpe.encode_and_decode(table(spark, sf_dir, "documents"), ranks)
+
+
 def op3_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring_dedup.remove_repeats(table(spark, sf_dir, "documents")).select("doc_id", "n_words", "n_removed", "kept_sha256")
 
@@ -122,5 +129,5 @@ kept AS (
 SELECT doc_id, len(words) AS n_words, len(words) - coalesce(n_kept, 0) AS n_removed, sha256(coalesce(text, '')) AS kept_sha256
 FROM w LEFT JOIN kept USING (doc_id)"""
 
-QUERIES = {"op1_url_filter": op1_url_filter, "op3_substring_dedup": op3_substring_dedup, "op6_exact_dedup": op6_exact_dedup, "op10_mix_sources": op10_mix_sources}
+QUERIES = {"op1_url_filter": op1_url_filter, "op2_byte_bpe": op2_byte_bpe, "op3_substring_dedup": op3_substring_dedup, "op6_exact_dedup": op6_exact_dedup, "op10_mix_sources": op10_mix_sources}
 ORACLES = {"op1_url_filter": SQL_OP1, "op3_substring_dedup": SQL_OP3, "op6_exact_dedup": SQL_OP6, "op10_mix_sources": SQL_OP10}
