@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from blindmatch.llm import bpe, exact_dedup, mixture, substring_dedup, url_filter
+from blindmatch.llm import bpe, exact_dedup, mixture, quality, secret_scan, substring_dedup, url_filter
 
 #: Days over which the derived list history and fetch days run.
 DAYS = 360
@@ -64,6 +64,10 @@ SELECT page_id, url, fetch_day, host, coalesce(n_active, 0) AS n_active, n_activ
 FROM seen LEFT JOIN hits USING (page_id)"""
 
 
+def op4_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secret_scan.scan(table(spark, sf_dir, "documents"))
+
+
 def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.duplicate_groups(table(spark, sf_dir, "documents"))
 
@@ -74,6 +78,15 @@ g AS (SELECT t, max(doc_id) AS keep_id, count(*) AS group_size FROM n GROUP BY t
 SELECT doc_id, keep_id, group_size, doc_id = keep_id AS kept, sha256(t) AS text_sha256 FROM n JOIN g USING (t)"""
 
 
+def trusted_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Labelled documents of good quality that are not toxic."""
+    return table(spark, sf_dir, "labels").where("quality = 1 and toxic = 0").select("doc_id")
+
+
+def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.judge(table(spark, sf_dir, "documents"), trusted_ids(spark, sf_dir))
+
+
 def op10_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixture.mix_sources(table(spark, sf_dir, "documents"))
 
@@ -129,5 +142,5 @@ kept AS (
 SELECT doc_id, len(words) AS n_words, len(words) - coalesce(n_kept, 0) AS n_removed, sha256(coalesce(text, '')) AS kept_sha256
 FROM w LEFT JOIN kept USING (doc_id)"""
 
-QUERIES = {"op1_url_filter": op1_url_filter, "op2_byte_bpe": op2_byte_bpe, "op3_substring_dedup": op3_substring_dedup, "op6_exact_dedup": op6_exact_dedup, "op10_mix_sources": op10_mix_sources}
+QUERIES = {"op1_url_filter": op1_url_filter, "op2_byte_bpe": op2_byte_bpe, "op3_substring_dedup": op3_substring_dedup, "op4_secret_scan": op4_secret_scan, "op6_exact_dedup": op6_exact_dedup, "op8_quality_rules": op8_quality_rules, "op10_mix_sources": op10_mix_sources}
 ORACLES = {"op1_url_filter": SQL_OP1, "op3_substring_dedup": SQL_OP3, "op6_exact_dedup": SQL_OP6, "op10_mix_sources": SQL_OP10}
