@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from blindmatch.llm import bpe, exact_dedup, mixture, quality, secret_scan, substring_dedup, url_filter
+from blindmatch.llm import bpe, exact_dedup, mixture, quality, secret_scan, substring_dedup, url_filter, warc
 
 #: Days over which the derived list history and fetch days run.
 DAYS = 360
@@ -78,6 +78,18 @@ g AS (SELECT t, max(doc_id) AS keep_id, count(*) AS group_size FROM n GROUP BY t
 SELECT doc_id, keep_id, group_size, doc_id = keep_id AS kept, sha256(t) AS text_sha256 FROM n JOIN g USING (t)"""
 
 
+def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.round_trip(table(spark, sf_dir, "pages"))
+
+
+SQL_OP7 = """
+WITH p AS (SELECT page_id, CAST(strlen(coalesce(html, '')) AS BIGINT) AS payload_bytes, sha256(coalesce(html, '')) AS payload_digest FROM pages),
+o AS (SELECT *, min(page_id) OVER (PARTITION BY payload_digest) AS original FROM p),
+r AS (SELECT *, payload_bytes >= 100 AND original < page_id AS again FROM o)
+SELECT page_id, payload_bytes, payload_digest, CASE WHEN again THEN 'revisit' ELSE 'response' END AS record_type,
+  CASE WHEN again THEN original END AS refers_to FROM r"""
+
+
 def trusted_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Labelled documents of good quality that are not toxic."""
     return table(spark, sf_dir, "labels").where("quality = 1 and toxic = 0").select("doc_id")
@@ -142,5 +154,5 @@ kept AS (
 SELECT doc_id, len(words) AS n_words, len(words) - coalesce(n_kept, 0) AS n_removed, sha256(coalesce(text, '')) AS kept_sha256
 FROM w LEFT JOIN kept USING (doc_id)"""
 
-QUERIES = {"op1_url_filter": op1_url_filter, "op2_byte_bpe": op2_byte_bpe, "op3_substring_dedup": op3_substring_dedup, "op4_secret_scan": op4_secret_scan, "op6_exact_dedup": op6_exact_dedup, "op8_quality_rules": op8_quality_rules, "op10_mix_sources": op10_mix_sources}
-ORACLES = {"op1_url_filter": SQL_OP1, "op3_substring_dedup": SQL_OP3, "op6_exact_dedup": SQL_OP6, "op10_mix_sources": SQL_OP10}
+QUERIES = {"op1_url_filter": op1_url_filter, "op2_byte_bpe": op2_byte_bpe, "op3_substring_dedup": op3_substring_dedup, "op4_secret_scan": op4_secret_scan, "op6_exact_dedup": op6_exact_dedup, "op7_warc": op7_warc, "op8_quality_rules": op8_quality_rules, "op10_mix_sources": op10_mix_sources}
+ORACLES = {"op1_url_filter": SQL_OP1, "op3_substring_dedup": SQL_OP3, "op6_exact_dedup": SQL_OP6, "op7_warc": SQL_OP7, "op10_mix_sources": SQL_OP10}
