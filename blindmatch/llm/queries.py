@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from blindmatch.llm import bpe, exact_dedup, html_wrappers, mixture, quality, secret_scan, substring_dedup, url_filter, warc
+from blindmatch.llm import bpe, exact_dedup, html_wrappers, mixture, ngram_join, quality, secret_scan, substring_dedup, url_filter, warc
 
 #: Days over which the derived list history and fetch days run.
 DAYS = 360
@@ -68,6 +68,10 @@ def op4_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secret_scan.scan(table(spark, sf_dir, "documents"))
 
 
+def op5_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.link_documents(table(spark, sf_dir, "documents"))
+
+
 def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.duplicate_groups(table(spark, sf_dir, "documents"))
 
@@ -158,5 +162,5 @@ kept AS (
 SELECT doc_id, len(words) AS n_words, len(words) - coalesce(n_kept, 0) AS n_removed, sha256(coalesce(text, '')) AS kept_sha256
 FROM w LEFT JOIN kept USING (doc_id)"""
 
-QUERIES = {"op1_url_filter": op1_url_filter, "op2_byte_bpe": op2_byte_bpe, "op3_substring_dedup": op3_substring_dedup, "op4_secret_scan": op4_secret_scan, "op6_exact_dedup": op6_exact_dedup, "op7_warc": op7_warc, "op8_quality_rules": op8_quality_rules, "op9_html_text": op9_html_text, "op10_mix_sources": op10_mix_sources}
+QUERIES = {"op1_url_filter": op1_url_filter, "op2_byte_bpe": op2_byte_bpe, "op3_substring_dedup": op3_substring_dedup, "op4_secret_scan": op4_secret_scan, "op5_ngram_join": op5_ngram_join, "op6_exact_dedup": op6_exact_dedup, "op7_warc": op7_warc, "op8_quality_rules": op8_quality_rules, "op9_html_text": op9_html_text, "op10_mix_sources": op10_mix_sources}
 ORACLES = {"op1_url_filter": SQL_OP1, "op3_substring_dedup": SQL_OP3, "op6_exact_dedup": SQL_OP6, "op7_warc": SQL_OP7, "op10_mix_sources": SQL_OP10}
