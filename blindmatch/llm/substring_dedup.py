@@ -14,8 +14,8 @@ in a document with a smaller id is removed there, with all words it covers.
 4. Coordinates. Removed edges go back to their documents as (start, length) spans, where the kept words are
    assembled and counted.
 
-Equality: paths compare by 128 bits, edges by (anchor, edge) which is 128 bits as well; the anchor is a
-function of the words, so a false match needs both hashes to collide.
+Equality: paths compare by (anchor, path) and edges by (anchor, edge), 128 bits each; the anchor is a function
+of the words as well, so a false match needs two independent hashes to collide.
 
 Hot passages: a path or edge that a third of all documents share is a partial aggregate before it is
 shuffled; where occurrences meet their verdict the join is a sort-merge join that adaptive execution can split.
@@ -81,7 +81,7 @@ def _anchor_rows(k: int):
 
 
 def _path_rows(k: int):
-    schema = pa.schema([("p1", pa.int64()), ("p2", pa.int64()), ("anchor", pa.int64()), ("id", pa.int64()), ("text_key", pa.int64()), ("start", pa.int32()), ("n", pa.int32()), ("edges", pa.binary())])
+    schema = pa.schema([("path", pa.int64()), ("anchor", pa.int64()), ("id", pa.int64()), ("text_key", pa.int64()), ("start", pa.int32()), ("n", pa.int32()), ("edges", pa.binary())])
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -102,21 +102,18 @@ def _path_rows(k: int):
                 if not len(start):
                     continue
                 size = end - start
-                # A path's digest chains its edges; two chains with different constants make 128 bits.
+                # A path's digest sums its edges, each mixed with its place.
                 place = np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
                 flat_edges = edges[np.repeat(start, size) + place]
                 at = np.cumsum(size) - size
-                salt = place.astype(np.uint64)
-                p1 = np.add.reduceat(mix(flat_edges + mix(salt + np.uint64(1))), at) + size.astype(np.uint64)
-                p2 = np.bitwise_xor.reduceat(mix(flat_edges ^ mix(salt + np.uint64(1 << 40))), at)
+                path = mix(np.add.reduceat(mix(flat_edges + mix(place.astype(np.uint64) + np.uint64(1))), at) + size.astype(np.uint64))
                 raw = pa.py_buffer(np.ascontiguousarray(flat_edges).tobytes())
                 offsets = pa.py_buffer((8 * np.append(at, size.sum())).astype(np.int32).tobytes())
                 blobs = pa.BinaryArray.from_buffers(pa.binary(), len(start), [None, offsets, raw])
                 owner = doc[start]
                 yield pa.RecordBatch.from_arrays(
                     [
-                        pa.array(signed(p1)),
-                        pa.array(signed(p2)),
+                        pa.array(signed(path)),
                         pa.array(signed(anchors[start])),
                         pa.array(ids[low:high][owner], pa.int64()),
                         pa.array(keys[low:high][owner], pa.int64()),
@@ -135,12 +132,12 @@ def _edge_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         if not batch.num_rows:
             continue
-        size = batch.column(2).to_numpy(zero_copy_only=False)
-        edges = np.frombuffer(b"".join(batch.column(5).to_pylist()), np.int64)
+        edges = np.frombuffer(b"".join(batch.column(3).to_pylist()), np.int64)
+        size = np.array([len(x) // 8 for x in batch.column(3).to_pylist()])
         place = np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
-        repeated = [np.repeat(batch.column(i).to_numpy(zero_copy_only=False), size) for i in (0, 1, 3, 4)]
+        repeated = [np.repeat(batch.column(i).to_numpy(zero_copy_only=False), size) for i in range(3)]
         yield pa.RecordBatch.from_arrays(
-            [pa.array(x) for x in (*repeated, edges, place.astype(np.int32))], ["p1", "p2", "anchor", "first_id", "edge", "place"]
+            [pa.array(x) for x in (*repeated, edges, place.astype(np.int32))], ["path", "anchor", "first_id", "edge", "place"]
         )
 
 
@@ -190,27 +187,27 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     shared = occurrences.join(repeated, "anchor").groupBy("id").agg(F.collect_set("anchor").alias("anchors"))
     keyed = named.select("id", F.xxhash64("text").alias("text_key"), "text").join(shared, "id")
     paths = keyed.select("id", "text_key", "text", "anchors").mapInArrow(
-        _path_rows(k), "p1 long, p2 long, anchor long, id long, text_key long, start int, n int, edges binary"
+        _path_rows(k), "path long, anchor long, id long, text_key long, start int, n int, edges binary"
     )
     paths = storage.written(paths, "paths")
+    storage.forget(docs.sparkSession, repeated)
 
-    distinct = paths.groupBy("p1", "p2", "n").agg(F.min("anchor").alias("anchor"), F.min("id").alias("first_id"), F.min("edges").alias("edges"))
-    opened = distinct.select("p1", "p2", "n", "anchor", "first_id", "edges").mapInArrow(
-        _edge_rows, "p1 long, p2 long, anchor long, first_id long, edge long, place int"
-    )
+    # A distinct path is known by (anchor, path); its first document keeps it unless single edges start earlier.
+    distinct = paths.groupBy("path", "anchor").agg(F.min("id").alias("first_id"), F.min("edges").alias("edges"))
+    opened = distinct.select("path", "anchor", "first_id", "edges").mapInArrow(_edge_rows, "path long, anchor long, first_id long, edge long, place int")
     opened = storage.written(opened, "edges")
-    # Edges that start in several documents: the later ones among the distinct paths' first documents.
     origin = opened.groupBy("anchor", "edge").agg(F.min("first_id").alias("origin"), F.max("first_id").alias("last"))
     origin = origin.where("origin < last").select("anchor", "edge", "origin")
     inner = opened.join(origin, ["anchor", "edge"]).where("origin < first_id")
-    inner = inner.groupBy("p1", "p2").agg(F.sort_array(F.collect_list("place")).alias("places"))
+    inner = storage.written(inner.groupBy("path", "anchor").agg(F.sort_array(F.collect_list("place")).alias("places")), "inner")
+    storage.forget(docs.sparkSession, opened)
 
-    occurrences = paths.select("p1", "p2", "id", "text_key", "start", "n")
-    firsts = distinct.select("p1", "p2", "first_id").join(inner, ["p1", "p2"], "left")
-    spans = occurrences.join(firsts, ["p1", "p2"]).where("first_id < id or places is not null")
+    firsts = paths.groupBy("path", "anchor").agg(F.min("id").alias("first_id")).join(inner, ["path", "anchor"], "left")
+    spans = paths.select("path", "anchor", "id", "text_key", "start", "n").join(firsts, ["path", "anchor"]).where("first_id < id or places is not null")
     span = F.struct("start", "n", F.when(F.col("first_id") == F.col("id"), F.col("places")).alias("places"))
-    spans = spans.groupBy("id", "text_key").agg(F.collect_list(span).alias("spans"))
-    spans = storage.written(spans, "spans")
+    spans = storage.written(spans.groupBy("id", "text_key").agg(F.collect_list(span).alias("spans")), "spans")
+    storage.forget(docs.sparkSession, paths)
+    storage.forget(docs.sparkSession, inner)
 
     t = texts.withColumn("text_key", F.xxhash64("text"))
     out = t.join(spans, ["id", "text_key"], "left").select("id", "text", "spans")
