@@ -136,14 +136,11 @@ def resolve_revisits(records: DataFrame) -> DataFrame:
         F.col("record_id").alias("_id"), F.col("page_id").alias("_page"), F.col("payload_bytes").alias("_bytes"), F.col("payload_digest").alias("_digest")
     )
     originals = originals.dropDuplicates(["_id"])
-    found = records.join(originals, records["refers_to_id"] == originals["_id"], "left")
-    return found.select(
-        "page_id",
-        F.coalesce("payload_bytes", "_bytes").alias("payload_bytes"),
-        F.coalesce("payload_digest", "_digest").alias("payload_digest"),
-        "record_type",
-        F.col("_page").alias("refers_to"),
-    )
+    # Responses refer to nothing; in the join their null keys would meet in one task.
+    whole = records.where("record_type = 'response'").select("page_id", "payload_bytes", "payload_digest", "record_type", F.lit(None).cast("long").alias("refers_to"))
+    again = records.where("record_type <> 'response'")
+    again = again.join(originals, again["refers_to_id"] == originals["_id"], "left")
+    return whole.union(again.select("page_id", F.col("_bytes").alias("payload_bytes"), F.col("_digest").alias("payload_digest"), "record_type", F.col("_page").alias("refers_to")))
 
 
 def round_trip(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html") -> DataFrame:
