@@ -7,7 +7,7 @@ the join back is one that adaptive execution can split, so a payload that a thir
 not gathered anywhere.
 
 Archives are written by Spark's text writer, whose separator is the end of a WARC record, so that any
-file system of the cluster and its commit protocol are used; each part is one uncompressed WARC/1.1 file with
+file system of the cluster and its commit protocol are used; each part is one gzipped WARC/1.1 file with
 fresh headers. They are read back as binary files and parsed by Content-Length; revisits are then resolved by a
 join of their WARC-Refers-To with the originals' record ids.
 
@@ -19,6 +19,7 @@ referred to; extra columns are not read; an empty table gives an empty archive a
 
 from __future__ import annotations
 
+import gzip
 import hashlib
 from collections.abc import Iterator
 
@@ -77,7 +78,7 @@ def write_archive(pages: DataFrame, path: str, id_col: str = "page_id", url_col:
         F.concat(F.lit("Content-Length: "), F.octet_length(block).cast("string")),
     ]
     record = F.concat(F.concat_ws("\r\n", *fields), F.lit("\r\n\r\n"), block)
-    rows.select(record.alias("value")).write.option("lineSep", RECORD_END).option("maxRecordsPerFile", RECORDS_PER_FILE).text(path)
+    rows.select(record.alias("value")).write.option("lineSep", RECORD_END).option("maxRecordsPerFile", RECORDS_PER_FILE).option("compression", "gzip").text(path)
 
 
 def parse_records(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
@@ -108,7 +109,7 @@ def read_archive(spark: SparkSession, path: str) -> DataFrame:
         for batch in batches:
             for blob in batch.column(0):
                 out, size = [], 0
-                for fields, block in parse_records(blob.as_py()):
+                for fields, block in parse_records(gzip.decompress(blob.as_py())):
                     payload = None
                     if fields["WARC-Type"] == "response":
                         payload = block[block.index(b"\r\n\r\n") + 4 :]
