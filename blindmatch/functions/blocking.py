@@ -7,6 +7,8 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from blindmatch.plans.lineage import cut
+
 
 def soundex_key(attrs: Sequence[str]) -> Column:
     """Phonetic key of one or more attributes; records with one code share a block."""
@@ -81,7 +83,7 @@ def bit_tree(masked: DataFrame, min_size: int, max_size: int, max_depth: int = 1
     Each level is one aggregation over (node, position) and a join by node; the frontier's nodes are at most
     rows / min_size and the join lets Spark choose by their measured size.
     """
-    out = masked.withColumn("block", F.lit("r"))
+    out = cut(masked.withColumn("block", F.lit("r")), "bit-tree")
     for _ in range(max_depth):
         sizes = out.groupBy("block").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > max_size)
         ones = out.select("block", F.explode("bits").alias("pos")).groupBy("block", "pos").agg(F.count(F.lit(1)).alias("c"))
@@ -90,6 +92,7 @@ def bit_tree(masked: DataFrame, min_size: int, max_size: int, max_depth: int = 1
         out = out.join(best, "block", "left")
         side = F.when(F.array_contains("bits", F.col("pos")), "1").otherwise("0")
         out = out.withColumn("block", F.when(F.col("pos").isNull(), F.col("block")).otherwise(F.concat("block", side))).drop("pos")
+        out = cut(out, "bit-tree")
     return out
 
 

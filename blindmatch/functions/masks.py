@@ -6,12 +6,17 @@ is compared) and ``ones`` (number of positions set).
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+import hashlib
+from collections.abc import Iterator, Sequence
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 LENGTH, HASHES, GRAM = 1000, 30, 2
+#: Grams whose masks a task remembers.
+GRAM_MEMO = 200_000
 
 
 def normalise(c: Column) -> Column:
@@ -63,32 +68,88 @@ def pack(bits: Column, length: int = LENGTH) -> Column:
 
 def tokens_of(attrs: Sequence[str], q: int = GRAM, tagged: bool = False) -> Column:
     """Grams of all attributes together; ``tagged`` puts the attribute's name into each."""
-    parts = [F.transform(qgrams(F.col(a), q), lambda g, a=a: F.concat(F.lit(a + ":"), g)) if tagged else qgrams(F.col(a), q) for a in attrs]
+
+    def part(a: str) -> Column:
+        return F.transform(qgrams(F.col(a), q), lambda g: F.concat(F.lit(a + ":"), g)) if tagged else qgrams(F.col(a), q)
+
+    parts = [part(a) for a in attrs]
     return F.array_distinct(F.flatten(F.array(*parts)))
 
 
+def _filter_of(bits: Column, length: int) -> Column:
+    """bits, words and ones as one struct: the lambda's variable keeps the positions from being computed for each use."""
+    return F.element_at(F.transform(F.array(bits), lambda b: F.struct(b.alias("bits"), pack(b, length).alias("words"), F.size(b).alias("ones"))), 1)
+
+
+def _encode_arrow(df: DataFrame, kept: Sequence[str], attrs: Sequence[str], length: int, hashes: int, q: int, salt: str, tagged: bool) -> DataFrame:
+    """The same filters from Arrow batches: a gram's mask is hashed once a task, a record's filter is the union of its grams' masks."""
+    n_words = (length + 63) // 64
+    schema = df.select(*kept).schema
+    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in schema)
+
+    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known: dict[str, int] = {}
+        table = np.zeros((1024, n_words), np.uint64)
+
+        def mask_of(gram: str) -> int:
+            nonlocal table
+            i = known[gram] = len(known)
+            if i == len(table):
+                table = np.concatenate([table, np.zeros_like(table)])
+            d = hashlib.md5((salt + gram).encode()).hexdigest()
+            at = (int(d[:7], 16) + np.arange(hashes) * int(d[7:14], 16)) % length
+            np.bitwise_or.at(table[i], at // 64, np.uint64(1) << (at % 64).astype(np.uint64))
+            return i
+
+        for batch in batches:
+            if len(known) > GRAM_MEMO:
+                known.clear()
+                table = np.zeros((1024, n_words), np.uint64)
+            values = [batch.column(len(kept) + j).to_pylist() for j in range(len(attrs))]
+            index, sizes = [], []
+            for record in zip(*values):
+                grams = {(f"{a}:" if tagged else "") + v[i : i + q] for a, v in zip(attrs, record) if v is not None for i in range(len(v) - q + 1)}
+                index += [known[g] if g in known else mask_of(g) for g in grams]
+                sizes.append(len(grams))
+            words = np.zeros((batch.num_rows, n_words), np.uint64)
+            full = np.flatnonzero(sizes)
+            if len(full):
+                starts = np.cumsum(sizes) - sizes
+                words[full] = np.bitwise_or.reduceat(table[index], starts[full], axis=0)
+            lists = pa.ListArray.from_arrays(np.arange(0, words.size + 1, n_words, dtype=np.int32), pa.array(words.view(np.int64).ravel()))
+            ones = np.bitwise_count(words).sum(axis=1, dtype=np.int32)
+            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(len(kept))), lists, pa.array(ones)], [*kept, "words", "ones"])
+
+    return df.select(*kept, *attrs).mapInArrow(rows, f"{fields}, words array<long>, ones int")
+
+
 def encode_bf(
     df: DataFrame, attrs: Sequence[str], length: int = LENGTH, hashes: int = HASHES, q: int = GRAM, level: str = "record", salt: str = "",
-    tagged: bool = False, hash_name: str = "md5", keep: Sequence[str] = ("party", "rec_id"), keep_bits: bool = False,
+    tagged: bool = False, hash_name: str = "md5", keep: Sequence[str] = ("party", "rec_id"), keep_bits: bool = False, engine: str = "arrow",
 ) -> DataFrame:
-    """Filters of records; the attributes themselves are dropped. ``attribute`` level gives a map of words by attribute."""
+    """Filters of records; the attributes themselves are dropped. ``attribute`` level gives a map of words by attribute.
+
+    ``engine='native'`` uses higher-order functions only, and is taken where positions (``keep_bits``) or another hash are asked for.
+    """
     kept = [c for c in keep if c in df.columns]
     if level == "record":
-        out = df.select(*kept, positions(tokens_of(attrs, q, tagged), length, hashes, salt, hash_name).alias("bits"))
-        out = out.withColumn("words", pack(F.col("bits"), length)).withColumn("ones", F.size("bits"))
-        return out if keep_bits else out.drop("bits")
+        if engine == "arrow" and not keep_bits and hash_name == "md5":
+            return _encode_arrow(df, kept, attrs, length, hashes, q, salt, tagged)
+        bits = positions(tokens_of(attrs, q, tagged), length, hashes, salt, hash_name)
+        out = df.select(*kept, _filter_of(bits, length).alias("f"))
+        return out.select(*kept, *(["f.bits"] if keep_bits else []), "f.words", "f.ones")
     if level != "attribute":
         raise ValueError(f"unknown level {level}")
     filters = []
     for a in attrs:
-        filters += [F.lit(a), pack(positions(qgrams(F.col(a), q), length, hashes, salt, hash_name), length)]
+        filters += [F.lit(a), _filter_of(positions(qgrams(F.col(a), q), length, hashes, salt, hash_name), length)["words"]]
     return df.select(*kept, F.create_map(*filters).alias("words"))
 
 
 def encode_custom(df: DataFrame, bits: Column, length: int, keep: Sequence[str] = ("party", "rec_id")) -> DataFrame:
     """Any mask: ``bits`` is an expression of sorted distinct positions."""
-    out = df.select(*[c for c in keep if c in df.columns], bits.alias("bits"))
-    return out.withColumn("words", pack(F.col("bits"), length)).withColumn("ones", F.size("bits")).drop("bits")
+    kept = [c for c in keep if c in df.columns]
+    return df.select(*kept, _filter_of(bits, length).alias("f")).select(*kept, "f.words", "f.ones")
 
 
 def sign_bits(vector: Column) -> Column:

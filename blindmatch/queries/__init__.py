@@ -1,10 +1,11 @@
 """All queries of the linkage engine and its operators, with their SQL."""
 
-from pyspark.sql import DataFrame, SparkSession
+from blindmatch.queries import prep  # noqa: F401
+from blindmatch.queries.registry import ORACLES, QUERIES
 
-QUERIES: dict = {}
-ORACLES: dict = {}
 
-
-def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+def flagship(spark, sf_dir):
     raise NotImplementedError
+
+
+__all__ = ["ORACLES", "QUERIES", "flagship"]
