@@ -71,7 +71,7 @@ def assign_best_first(edges: DataFrame, most_rounds: int = 100) -> DataFrame:
             return taken
         taken = taken.union(both)
         left = left.join(both.select("block", "x").distinct(), ["block", "x"], "left_anti").join(both.select("block", "y").distinct(), ["block", "y"], "left_anti")
-        left = cut(left, "edges")
+        left = cut(left.select("block", "x", "y", "weight"), "edges")
     raise RuntimeError("mapping did not settle")
 
 
