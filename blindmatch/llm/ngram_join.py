@@ -3,9 +3,10 @@
 A text's set is its distinct ``SHINGLE``-word shingles. Two texts link when 100 * overlap >= ``PERCENT`` * union.
 
 1. Equal sets are one class, met by a 128-bit digest of the set; the rest works on one representative a class.
-2. Cells. Linked sets share one of the few smallest shingle hashes of either (n - ceil(PERCENT * n / 100) + 1 of
-   them), so a set is routed to the cells of those hashes. Cells with one member go (an aggregation); the others
-   are the only places where links can be.
+2. Cells. In any fixed order of all shingles, linked sets share one of the first n - ceil(PERCENT * n / 100) + 1 of
+   either, so a set is routed to the cells of those. The order is by length in bytes, longest first, then by hash:
+   long shingles have long words, which are rare, so few sets meet by chance. Cells with one member go (an
+   aggregation); the others are the only places where links can be.
 3. R-trees. Each set's shingles are hashed into ``GROUPS`` groups, and the groups' counts are its point. A cell's points are
    packed into an R-tree whose nodes hold coordinate-wise maxima. The sum of coordinate-wise minima of two points
    bounds their overlap, and the same sum with a node's maxima bounds that with every point below it, which prunes
@@ -47,14 +48,16 @@ LEAF, FAN = 32, 16
 _FULL = np.uint16(65535)
 
 
-def shingle_sets(words: Words, k: int = SHINGLE) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct shingle hashes of a chunk, by document and ascending; and ``first`` of each document among them."""
+def shingle_sets(words: Words, k: int = SHINGLE, longest_first: bool = False) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct shingle hashes of a chunk, by document, then ascending or longest first; and ``first`` of each document among them."""
     hashes = words.hashes(lower_ascii(words.data))
     doc = words.doc()
     grams, inside = words.windows(hashes, k)
+    until = np.concatenate([[0], np.cumsum(words.end - words.start)])
+    length = (until[k:] - until[:-k])[inside] if len(grams) else np.zeros(0, np.int64)
     size = np.diff(words.first)
     short = np.flatnonzero((size > 0) & (size < k))
-    values, owners = [grams[inside]], [doc[: len(grams)][inside]]
+    values, owners, lengths = [grams[inside]], [doc[: len(grams)][inside]], [length]
     for j in range(1, k):  # whole texts of j words
         own = short[size[short] == j]
         if len(own):
@@ -63,8 +66,9 @@ def shingle_sets(words: Words, k: int = SHINGLE) -> tuple[np.ndarray, np.ndarray
                 h = mix(h * np.uint64(0xD6E8FEB86659FD93) + hashes[words.first[own] + i])
             values.append(h)
             owners.append(own)
+            lengths.append(np.zeros(len(own), np.int64))
     value, owner = np.concatenate(values), np.concatenate(owners)
-    order = np.lexsort((value, owner))
+    order = np.lexsort((value, -np.concatenate(lengths), owner) if longest_first else (value, owner))
     value, owner = value[order], owner[order]
     keep = np.ones(len(value), bool)
     keep[1:] = (value[1:] != value[:-1]) | (owner[1:] != owner[:-1])
@@ -258,7 +262,7 @@ def _cell_rows(percent: int, k: int):
         for batch in batches:
             ids = batch.column(0).to_numpy()
             for low, high, words in chunks(batch.column(1)):
-                value, first = shingle_sets(words, k)
+                value, first = shingle_sets(words, k, longest_first=True)
                 size = np.diff(first)
                 owner = np.repeat(np.arange(high - low), size)
                 place = np.arange(len(value)) - np.repeat(first[:-1], size)
