@@ -1,7 +1,7 @@
 """All queries of the linkage engine and its operators, with their SQL."""
 
 from blindmatch.operators import clustering
-from blindmatch.queries import linkage, prep, workloads  # noqa: F401
+from blindmatch.queries import experiments, linkage, prep, relational, streams, workloads  # noqa: F401
 from blindmatch.queries.registry import ORACLES, QUERIES
 
 

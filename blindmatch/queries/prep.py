@@ -16,12 +16,12 @@ def text(c, sep=","):
     return F.array_join(F.transform(c, lambda x: x.cast("string")), sep)
 
 
-COLS = ["party", "rec_id", "entity_id", "held_by", *R.QI, "sex", "address", F.col("birth_date").cast("string").alias("birth_date"), "amount"]
+COLS = ["party", "rec_id", "entity_id", "held_by", *R.QI, "sex", "address", "cast(birth_date as string) as birth_date", "amount"]
 SQL_COLS = "party, rec_id, entity_id, held_by, first_name, last_name, city, zipcode, sex, address, CAST(birth_date AS VARCHAR) AS birth_date, amount"
 
 for _name, _p, _rate, _profile in (("parties_w1", 5, 0, "quarter"), ("parties_w2", 10, 0, "by_size"), ("corrupt_20", 5, 20, "quarter"), ("corrupt_40", 5, 40, "quarter")):
     _ctes, _from = W.sql_people(_p, _rate, _profile)
-    query(_name, f"WITH {_ctes} SELECT {SQL_COLS} FROM {_from}")(lambda s, d, a=(_p, _rate, _profile): W.parties(s, d, *a).select(*COLS))
+    query(_name, f"WITH {_ctes} SELECT {SQL_COLS} FROM {_from}")(lambda s, d, a=(_p, _rate, _profile): W.parties(s, d, *a).selectExpr(*COLS))
 
 
 @query("parties_snapshots", f"WITH {R.sql_snapshots()} SELECT party, rec_id, entity_id, first_name, last_name, city, zipcode FROM parties")
