@@ -81,7 +81,7 @@ def _anchor_rows(k: int):
 
 
 def _path_rows(k: int):
-    schema = pa.schema([("path", pa.int64()), ("anchor", pa.int64()), ("id", pa.int64()), ("text_key", pa.int64()), ("start", pa.int32()), ("n", pa.int32()), ("edges", pa.binary())])
+    schema = pa.schema([("path", pa.int64()), ("anchor", pa.int64()), ("id", pa.int64()), ("text_key", pa.int32()), ("start", pa.int32()), ("n", pa.int32()), ("edges", pa.binary())])
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -116,7 +116,7 @@ def _path_rows(k: int):
                         pa.array(signed(path)),
                         pa.array(signed(anchors[start])),
                         pa.array(ids[low:high][owner], pa.int64()),
-                        pa.array(keys[low:high][owner], pa.int64()),
+                        pa.array(keys[low:high][owner], pa.int32()),
                         pa.array((start - words.first[owner]).astype(np.int32)),
                         pa.array(size.astype(np.int32)),
                         blobs,
@@ -146,12 +146,12 @@ def _kept_rows(k: int):
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            spans = batch.column(2).to_pylist()
             out = []
             for low, high, words in chunks(batch.column(1)):
+                spans = batch.column(2).slice(low, high - low).to_pylist()
                 gone = np.zeros(len(words) + 1, np.int32)
-                for d in range(low, high):
-                    base = words.first[d - low]
+                for d in range(high - low):
+                    base = words.first[d]
                     for span in spans[d] or ():
                         for place in span["places"] if span["places"] is not None else (-1,):
                             first = base + span["start"] + max(place, 0)
@@ -185,9 +185,9 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
 
     # Anchors that a document shares with others, as one list a document; its size is bounded by the text's.
     shared = occurrences.join(repeated, "anchor").groupBy("id").agg(F.collect_set("anchor").alias("anchors"))
-    keyed = named.select("id", F.xxhash64("text").alias("text_key"), "text").join(shared, "id")
+    keyed = named.select("id", F.hash("text").alias("text_key"), "text").join(shared, "id")
     paths = keyed.select("id", "text_key", "text", "anchors").mapInArrow(
-        _path_rows(k), "path long, anchor long, id long, text_key long, start int, n int, edges binary"
+        _path_rows(k), "path long, anchor long, id long, text_key int, start int, n int, edges binary"
     )
     paths = storage.written(paths, "paths")
     storage.forget(docs.sparkSession, repeated)
@@ -209,7 +209,7 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     storage.forget(docs.sparkSession, paths)
     storage.forget(docs.sparkSession, inner)
 
-    t = texts.withColumn("text_key", F.xxhash64("text"))
+    t = texts.withColumn("text_key", F.hash("text"))
     out = t.join(spans, ["id", "text_key"], "left").select("id", "text", "spans")
     out = out.mapInArrow(_kept_rows(k), "id long, n_words long, n_removed long, kept string, kept_sha256 string")
     return out.withColumnRenamed("id", id_col)

@@ -14,7 +14,7 @@ import pyarrow as pa
 
 WORD = r"[^\x20\x09-\x0D]+"
 #: Text bytes handled at once; one longer document makes a chunk of its own.
-CHUNK_BYTES = 4 << 20
+CHUNK_BYTES = 2 << 20
 LONG_WORD = 64
 
 _SPACE = np.zeros(256, bool)
