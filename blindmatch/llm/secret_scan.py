@@ -81,8 +81,8 @@ def literal_score(value: str) -> int:
     return 1 + (len(value) >= 12) + (classes >= 2) + (classes >= 3)
 
 
-def assignments(text: str) -> Iterator[tuple[str, list[tuple[int, int] | str]]]:
-    """Names with their values: spans of literals, and names that stand for others."""
+def assignments(text: str) -> Iterator[tuple[str, list[tuple[str | None, tuple[int, int]]]]]:
+    """Names with the parts of their values: (None, span) for a literal, (name, span) for what may stand for another."""
     for m in _LINE.finditer(text):
         at, parts = m.start("value"), []
         while a := _ATOM.match(text, at, m.end()):
@@ -91,27 +91,34 @@ def assignments(text: str) -> Iterator[tuple[str, list[tuple[int, int] | str]]]:
                 bare = _BARE.match(text, a.start(3), m.end())
                 whole = bare[0] if bare else a[3]
                 if whole != a[3]:  # an unquoted value, not a name
-                    parts.append((bare.start(), bare.end()))
+                    parts.append((None, bare.span()))
                     break
-            parts.append(a[3] if group == 3 else (a.start(group), a.end(group)))
+            parts.append((a[3] if group == 3 else None, a.span(group)))
             at = a.end()
             if not (p := _PLUS.match(text, at, m.end())):
                 break
             at = p.end()
         if not parts and (bare := _BARE.match(text, at, m.end())):
-            parts.append((bare.start(), bare.end()))
+            parts.append((None, bare.span()))
         if parts:
             yield m["name"], parts
 
 
 def lexed_spans(text: str) -> list[tuple[int, int, str]]:
-    """Literals that flow into sensitive names. An unquoted name that nothing was assigned to is no literal."""
+    """Literals that flow into sensitive names. An unquoted word that nothing was assigned to is a literal only where it is the whole value and has a digit."""
     if "=" not in text and ":" not in text:
         return []
     flows: dict[str, list[tuple[int, int]]] = {}
     best: Counter[tuple[int, int]] = Counter()
     for name, parts in assignments(text):
-        spans = [s for p in parts for s in (flows.get(p, ()) if isinstance(p, str) else (p,))]
+        spans = []
+        for part, at in parts:
+            if part is None:
+                spans.append(at)
+            elif part in flows:
+                spans += flows[part]
+            elif len(parts) == 1 and re.search("[0-9]", part):
+                spans.append(at)
         flows[name] = spans[:64]
         weight = name_score(name)
         if weight:
