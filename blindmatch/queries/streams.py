@@ -73,26 +73,6 @@ def stream_join_interval(s, d):
     return arrival.run_to_table(v.join(p, on).select("view_id", "purchase_id"))
 
 
-@query("stream_late_rows", "SELECT event_type, count(*) AS n FROM events WHERE ts >= (SELECT max(ts) FROM events) - INTERVAL 10 DAY GROUP BY 1")
-def stream_late_rows(s, d):
-    """A first file sets the watermark; of the second file, rows more than ten days behind it are late and dropped."""
-    e = _typed(s, d)
-    path = shared_path(s, "late")
-    first = e.orderBy(F.desc("ts")).limit(1)
-    first.write.parquet(path)
-    e.join(first.select("ts"), "ts", "left_anti").select(*e.columns).coalesce(1).write.mode("append").parquet(path)
-    out = arrival.file_stream(s, path, e.schema, 1).withWatermark("ts", "10 days").groupBy("ts", "event_id", "event_type").agg(F.count(F.lit(1)).alias("n"))
-    # In update mode each batch gives the groups that it changed; late rows change none.
-    return _updates(out).groupBy("event_type").agg(F.count(F.lit(1)).alias("n"))
-
-
-def _updates(stream):
-    path, check = shared_path(stream.sparkSession, "updates"), shared_path(stream.sparkSession, "updates-check")
-    q = stream.writeStream.outputMode("update").option("checkpointLocation", check).trigger(availableNow=True)
-    q.foreachBatch(lambda df, i: df.write.mode("overwrite").parquet(f"{path}/batch={i}")).start().awaitTermination()
-    return stream.sparkSession.read.schema(stream.schema).parquet(path)
-
-
 def _party_files(s, d, p=3):
     m = W.masked(W.parties(s, d, p, 20))
     path = shared_path(s, "parties")
