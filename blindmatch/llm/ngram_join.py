@@ -42,8 +42,8 @@ from blindmatch.llm.words import Words, chunks, lower_ascii, mix, signed
 SHINGLE = 4
 PERCENT = 85
 GROUPS = 128
-CELL_ROWS = 2048
-GROUP_SHINGLES = 2_000_000
+CELL_ROWS = 16_384
+GROUP_SHINGLES = 8_000_000
 LEAF, FAN = 32, 16
 _FULL = np.uint16(65535)
 
