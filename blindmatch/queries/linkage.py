@@ -376,8 +376,8 @@ bf AS (SELECT m.rec_id, g.n AS n_g, 1.0 / g.n AS p_s FROM masked m JOIN (SELECT
 cnt AS (SELECT block, entity_id, pos, count(*) AS c FROM (SELECT block, entity_id, unnest(bits) AS pos FROM masked) GROUP BY ALL),
 sizes AS (SELECT block, entity_id, count(*) AS x FROM masked GROUP BY ALL HAVING count(*) > 1),
 cb AS (SELECT block, entity_id, x, list(pos) FILTER (c = x) AS must, list(pos) AS may FROM cnt JOIN sizes USING (block, entity_id) GROUP BY ALL),
-hits AS (SELECT cb.block, cb.entity_id, x, count(*) AS n_g FROM cb JOIN masked g ON g.block = cb.block AND list_has_all(g.bits, must) AND list_has_all(may, g.bits) GROUP BY ALL),
-cbf AS (SELECT m.rec_id, x, n_g, 1.0 / n_g AS p_s FROM masked m JOIN hits USING (block, entity_id))"""
+consistent AS (SELECT cb.block, cb.entity_id, x, count(*) AS n_g FROM cb JOIN masked g ON g.block = cb.block AND list_has_all(g.bits, must) AND list_has_all(may, g.bits) GROUP BY ALL),
+cbf AS (SELECT m.rec_id, x, n_g, 1.0 / n_g AS p_s FROM masked m JOIN consistent USING (block, entity_id))"""
 
 
 @query("suspicion_bf", f"{_ATTACK} SELECT rec_id, n_g, round(p_s, 9) AS p_s FROM bf")
