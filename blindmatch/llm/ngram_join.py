@@ -10,7 +10,7 @@ A text's set is its distinct ``SHINGLE``-word shingles. Two texts link when 100
 3. R-trees. Each set's shingles are hashed into ``GROUPS`` groups, and the groups' counts are its point. A cell's points are
    packed into an R-tree whose nodes hold coordinate-wise maxima. The sum of coordinate-wise minima of two points
    bounds their overlap, and the same sum with a node's maxima bounds that with every point below it, which prunes
-   the search. The search grows groups: what a member reaches is taken out, so a cell with m similar members costs
+   the search, as do the smallest and largest set below a node. Counts are bytes; two that are both full say nothing. The search grows groups: what a member reaches is taken out, so a cell with m similar members costs
    about m steps and gives m - 1 links, not all pairs.
 4. Candidate groups (components of those links) are verified with the exact sets, again growing groups, so that every
    link between members of different groups is found and no copy is expanded into pairs.
@@ -45,7 +45,7 @@ GROUPS = 128
 CELL_ROWS = 16_384
 GROUP_SHINGLES = 8_000_000
 LEAF, FAN = 32, 16
-_FULL = np.uint16(65535)
+_FULL = np.uint8(255)
 
 
 def shingle_sets(words: Words, k: int = SHINGLE, longest_first: bool = False) -> tuple[np.ndarray, np.ndarray]:
@@ -91,30 +91,34 @@ class RTree:
         spread = np.argsort(-points.astype(np.float32).var(axis=0), kind="stable")[:2]
         slab = np.argsort(np.argsort(sizes, kind="stable"), kind="stable") // (LEAF * FAN)
         self.order = np.lexsort((points[:, spread[1]], points[:, spread[0]], slab))
-        self.points, self.sizes = points[self.order].astype(np.int32), sizes[self.order]
+        self.points, self.sizes = points[self.order], sizes[self.order]
         self.levels = []
-        high, small = self.points, self.sizes
+        high, small, large = self.points, self.sizes, self.sizes
         step = LEAF
         while len(high) > 1:
             cuts = np.arange(0, len(high), step)
-            high, small = np.maximum.reduceat(high, cuts, axis=0), np.minimum.reduceat(small, cuts)
-            self.levels.append((high, small, step))
+            high, small, large = np.maximum.reduceat(high, cuts, axis=0), np.minimum.reduceat(small, cuts), np.maximum.reduceat(large, cuts)
+            self.levels.append((high, small, large, step))
             step = FAN
 
     def search(self, point: np.ndarray, size: int, alive: np.ndarray, percent: int) -> np.ndarray:
         """Positions (in tree order) of points that are alive and may link with this one."""
+        full = np.flatnonzero(point == _FULL)
+
+        def may_link(nodes, high, small, large):
+            nodes = nodes[(100 * large[nodes] >= percent * size) & (100 * size >= percent * small[nodes])]
+            near = high[nodes]
+            ok = links(np.minimum(near, point).sum(axis=1, dtype=np.int64), size, small[nodes], percent)
+            return nodes[ok | (near[:, full] == _FULL).any(axis=1)] if len(full) else nodes[ok]
+
         nodes = np.zeros(1, np.int64) if self.levels else np.arange(len(self.points))
         for depth in range(len(self.levels) - 1, -1, -1):
-            high, small, step = self.levels[depth]
-            bound = np.minimum(high[nodes], point).sum(axis=1)
-            nodes = nodes[links(bound, size, small[nodes], percent)]
+            high, small, large, step = self.levels[depth]
+            nodes = may_link(nodes, high, small, large)
             below = len(self.levels[depth - 1][0]) if depth else len(self.points)
             nodes = (nodes[:, None] * step + np.arange(step)).ravel()
             nodes = nodes[nodes < below]
-        nodes = nodes[alive[nodes]]
-        bound = np.minimum(self.points[nodes], point).sum(axis=1)
-        both_full = ((self.points[nodes] == _FULL) & (point == _FULL)).any(axis=1)
-        return nodes[both_full | links(bound, size, self.sizes[nodes], percent)]
+        return may_link(nodes[alive[nodes]], self.points, self.sizes, self.sizes)
 
 
 def grow_groups(n: int, reach) -> np.ndarray:
@@ -191,7 +195,7 @@ def _cell_links(percent: int):
                 continue
             keys = np.stack([batch.column(i).to_numpy() for i in range(3)], axis=1)
             ids, counts = batch.column(3).to_numpy(), batch.column(4).to_numpy()
-            points = np.frombuffer(b"".join(batch.column(5).to_pylist()), np.uint16).reshape(-1, GROUPS)
+            points = np.frombuffer(b"".join(batch.column(5).to_pylist()), np.uint8).reshape(-1, GROUPS)
             part = (keys, ids, counts, points)
             held = part if held is None else tuple(np.concatenate(x) for x in zip(held, part))
             last = np.flatnonzero((held[0] != held[0][-1]).any(axis=1))
@@ -268,14 +272,13 @@ def _cell_rows(percent: int, k: int):
                 place = np.arange(len(value)) - np.repeat(first[:-1], size)
                 cell = place < (size - (percent * size + 99) // 100 + 1)[owner]
                 counts = np.bincount(owner * GROUPS + (mix(value) % np.uint64(GROUPS)).astype(np.int64), minlength=(high - low) * GROUPS)
-                points = np.minimum(counts, 65535).astype(np.uint16).tobytes()
-                width = 2 * GROUPS
+                points = np.minimum(counts, 255).astype(np.uint8).tobytes()
                 n = int(cell.sum())
                 yield pa.RecordBatch.from_arrays(
                     [
                         pa.array(np.concatenate([ids[low:high], ids[low:high][owner[cell]]])),
                         pa.array(np.concatenate([np.zeros(high - low, np.int64), signed(value[cell])]), mask=np.arange(high - low + n) < high - low),
-                        pa.array([points[i * width : (i + 1) * width] for i in range(high - low)] + [None] * n, pa.binary()),
+                        pa.array([points[i * GROUPS : (i + 1) * GROUPS] for i in range(high - low)] + [None] * n, pa.binary()),
                         pa.array(np.concatenate([size, size[owner[cell]]]).astype(np.int64)),
                     ],
                     ["id", "cell", "point", "n"],
