@@ -209,6 +209,62 @@ def _cell_links(percent: int):
     return rows
 
 
+def _spans(start: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """All positions of spans one after another, and where each begins among them."""
+    at = np.cumsum(size) - size
+    return np.arange(int(size.sum())) + np.repeat(start - at, size), at
+
+
+class ExactSets:
+    """Sets of one candidate group, searched for exact links by lists of the sets' rarest shingles.
+
+    In the order of the number of sets alive that have a shingle, linked sets share one of the first
+    n - ceil(percent * n / 100) + 1 of either. Lists are made anew whenever half of the sets in them are gone.
+    """
+
+    def __init__(self, sets: list[np.ndarray], percent: int):
+        self.percent = percent
+        self.size = np.array([len(s) for s in sets], np.int64)
+        self.flat = np.unique(np.concatenate(sets), return_inverse=True)[1].astype(np.int32)
+        self.cuts = np.cumsum(self.size) - self.size
+        self.head = self.size - (percent * self.size + 99) // 100 + 1
+        self.mark = np.zeros(int(self.flat.max()) + 1, bool)
+        self.listed = 2 * len(sets) + 2
+
+    def _list(self, alive: np.ndarray) -> None:
+        live = np.flatnonzero(alive)
+        self.listed = len(live)
+        shingles = self.flat[_spans(self.cuts[live], self.size[live])[0]]
+        count = np.bincount(shingles, minlength=len(self.mark))
+        self.rank = np.empty(len(count), np.int64)
+        self.rank[np.argsort(count, kind="stable")] = np.arange(len(count))
+        key = np.repeat(live, self.size[live]) * len(count) + self.rank[shingles]
+        key.sort()
+        place = np.arange(len(key)) - np.repeat(np.cumsum(self.size[live]) - self.size[live], self.size[live])
+        own, rank = np.divmod(key[place < np.repeat(self.head[live], self.size[live])], len(count))
+        order = np.argsort(rank, kind="stable")
+        self.ranks, self.owners = rank[order], own[order]
+
+    def reach(self, i: int, alive: np.ndarray) -> np.ndarray:
+        """Members alive that link with member i."""
+        if 2 * np.count_nonzero(alive) < self.listed:
+            self._list(alive)
+        mine = self.flat[self.cuts[i] : self.cuts[i] + self.size[i]]
+        rare = np.sort(self.rank[mine])[: self.head[i]]
+        low = np.searchsorted(self.ranks, rare)
+        near = self.owners[_spans(low, np.searchsorted(self.ranks, rare, "right") - low)[0]]
+        near = np.unique(near[alive[near]])
+        size, n = self.size[near], self.size[i]
+        near = near[100 * np.minimum(size, n) >= self.percent * np.maximum(size, n)]
+        if not len(near):
+            return near
+        at, first = _spans(self.cuts[near], self.size[near])
+        self.mark[mine] = True
+        overlap = np.add.reduceat(self.mark[self.flat[at]], first, dtype=np.int64)
+        self.mark[mine] = False
+        return near[links(overlap, n, self.size[near], self.percent)]
+
+
 def _verified_links(percent: int, k: int):
     def rows(table: pa.Table) -> pa.Table:
         ids, sets = table["id"].to_numpy(), []
@@ -217,25 +273,7 @@ def _verified_links(percent: int, k: int):
                 value, first = shingle_sets(words, k)
                 sets += [value[a:b] for a, b in zip(first, first[1:])]
         order = np.argsort(ids, kind="stable")
-        ids, sets = ids[order], [sets[i] for i in order]
-        size = np.array([len(s) for s in sets], np.int64)
-        flat = np.unique(np.concatenate(sets), return_inverse=True)[1]
-        cuts = np.cumsum(size) - size
-        mark = np.zeros(int(flat.max()) + 1, bool)
-
-        def reach(i: int, alive: np.ndarray) -> np.ndarray:
-            near = np.flatnonzero(alive & (100 * np.minimum(size, size[i]) >= percent * np.maximum(size, size[i])))
-            if not len(near):
-                return near
-            mark[flat[cuts[i] : cuts[i] + size[i]]] = True
-            if len(near) > len(ids) // 4:
-                overlap = np.add.reduceat(mark[flat], cuts, dtype=np.int64)[near]
-            else:
-                overlap = np.array([np.count_nonzero(mark[flat[cuts[j] : cuts[j] + size[j]]]) for j in near.tolist()])
-            mark[flat[cuts[i] : cuts[i] + size[i]]] = False
-            return near[links(overlap, size[i], size[near], percent)]
-
-        u, v = _stars(ids, grow_groups(len(ids), reach))
+        u, v = _stars(ids[order], grow_groups(len(ids), ExactSets([sets[i] for i in order], percent).reach))
         return pa.table({"u": pa.array(u, pa.int64()), "v": pa.array(v, pa.int64())})
 
     return rows

@@ -212,3 +212,20 @@ def test_pipeline_stages(spark):
     _, roots = jaccard_components(texts, 5, 80)
     assert sorted(r.doc_id for r in near.collect()) == sorted(set(roots) | {i for i, r in enumerate(roots) if r == i})
     assert near.columns == docs.columns
+
+
+def test_exact_sets_find_the_groups_of_all_pairs():
+    import numpy as np
+
+    rng = np.random.default_rng(2)
+    for percent in (80, 85):
+        sets = []
+        for _ in range(40):
+            base = rng.choice(3000, rng.integers(1, 100), replace=False)
+            for _ in range(rng.integers(1, 9)):
+                part = base[rng.random(len(base)) > 0.05 * rng.integers(0, 4)]
+                sets.append(np.unique(np.concatenate([part if len(part) else base[:1], rng.choice(3000, rng.integers(0, 4))])).astype(np.uint64))
+        plain = [set(s.tolist()) for s in sets]
+        linked = np.array([[a is not b and ngram_join.links(len(a & b), len(a), len(b), percent) for b in plain] for a in plain])
+        found = ngram_join.grow_groups(len(sets), ngram_join.ExactSets(sets, percent).reach)
+        assert (found == ngram_join.grow_groups(len(sets), lambda i, alive: np.flatnonzero(linked[i] & alive))).all()
