@@ -4,8 +4,8 @@ A window of ``k`` consecutive words is an edge between its two (k-1)-word nodes.
 in a document with a smaller id is removed there, with all words it covers.
 
 1. Anchors. Each window has an anchor: the smallest hash among its ``ANCHOR``-word grams, so equal windows
-   have equal anchors. Anchors seen in one document only cannot be on a repeated edge and go (one
-   aggregation of about two rows per nine words, with partial aggregation before the shuffle).
+   have equal anchors. Anchors seen in one document only cannot be on a repeated edge and go. They are counted
+   by their upper 48 bits, where a collision only keeps an anchor that could go (one aggregation of about two rows per nine words, with partial aggregation before the shuffle).
 2. Paths. Consecutive edges on one anchor occurrence form a nonbranching path; it is compacted into one
    row with the digest of its word sequence, its edges' hashes and its source coordinates.
 3. Joins. Equal paths meet by digest: all but the smallest document's are repeated as wholes. The distinct
@@ -40,6 +40,7 @@ from blindmatch.llm.words import Words, chunks, mix, signed
 
 K = 13
 ANCHOR = 6
+_CUT = np.uint64(16)
 
 
 def _anchored(words: Words, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -75,7 +76,7 @@ def _anchor_rows(k: int):
                 start, _ = _runs(anchors, inside)
                 if len(start):
                     doc = ids[low:high][words.doc()[start]]
-                    yield pa.RecordBatch.from_arrays([pa.array(signed(anchors[start])), pa.array(doc, pa.int64())], ["anchor", "id"])
+                    yield pa.RecordBatch.from_arrays([pa.array(signed(anchors[start] >> _CUT)), pa.array(doc, pa.int64())], ["anchor", "id"])
 
     return rows
 
@@ -96,7 +97,7 @@ def _path_rows(k: int):
                 flat = known.flatten().to_numpy(zero_copy_only=False).view(np.uint64)
                 # Membership by document: the list's document index is mixed into both sides.
                 sizes = np.diff(np.frombuffer(known.buffers()[1], np.int32)[known.offset : known.offset + len(known) + 1])
-                left = mix(anchors + mix(doc[: len(anchors)].astype(np.uint64)))
+                left = mix((anchors >> _CUT) + mix(doc[: len(anchors)].astype(np.uint64)))
                 right = mix(flat + mix(np.repeat(np.arange(len(known)), sizes).astype(np.uint64)))
                 start, end = _runs(anchors, inside, np.isin(left, right))
                 if not len(start):
