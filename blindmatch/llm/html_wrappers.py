@@ -1,17 +1,19 @@
 """Main text of pages by union-free wrappers that are inferred per host.
 
-A page is a stream of tokens: tags and texts. For each host, a wrapper is inferred from ``SAMPLE`` of its pages
-(the ones of smallest hashed id in ``SAMPLE`` slots, found by a partial aggregation, so a host with a third of all
-pages costs no task more than its share). The wrapper starts as one page's stream and is aligned with the
-next ones in turn: equal tokens stay; texts that differ become slots; tags that only one side has become an optional
-group, or a repeated group where they repeat what stands before them. No alternatives are kept, so the
-expression stays union-free.
-
-The wrapper's groups and slots then tell template from content: a region (the path of container elements) whose texts
-are the same on the sampled pages is template, and the region with the most varying text is the content root
-where a page does not mark one itself. Every page, sampled or not, is read as a whole by its host's
-wrapper: texts of the page's content regions are kept in page order, other than those in menus, headers, footers,
-sidebars, notices, adverts, forms, scripts, styles and comments.
+A page is a stream of tokens: tags and texts. A wrapper is union-free: a region (the path of container elements and
+of named elements inside them) is fixed, optional (missing on some pages) or repeated, and has constant text or is a slot. Wrappers
+of parts of a host merge by adding counts, so the wrapper of a host is an aggregate over whole streams of all its
+different pages: pages by host, region and digest of the region's set of texts (a repeated text counts once, and
+pages without an optional region do not count for it). A host with most of all pages is combined in tasks first.
+
+A region is template where one set of texts holds on at least ``CONSTANT`` percent of the pages that have it, and on two or more.
+Other regions are slots. Their varying text is weighed by the container they stand in; an article or main element is
+evidence and counts ``MARKED`` times. A page's text is that of its heaviest container and all slots inside, in page order, without template and
+without menus, headers, footers, sidebars, notices, adverts, forms, scripts, styles and comments. Where a page has
+template regions only (its host's pages are alike), the wrapper cannot tell content, and the same choice is made among these.
+Constant text in a region that also varies, such as a heading, stays.
+
+:func:`infer_wrapper` aligns whole streams of a few pages one after the other; it is the reference for small hosts.
 
 Defined cases: a null or empty page and a page without text give an empty text; a null or unparsable URL is a host
 of its own (the empty one); broken markup (unclosed or stray tags, cut entities) is read as browsers do: character
@@ -21,6 +23,7 @@ empty table gives an empty table.
 
 from __future__ import annotations
 
+import hashlib
 import html
 import json
 import re
@@ -33,9 +36,10 @@ from pyspark.sql import functions as F
 
 from blindmatch.llm.url_filter import host_of
 
-SAMPLE = 6
-#: Tokens of a sampled page that take part in the inference of a wrapper.
-SAMPLE_TOKENS = 2_000
+#: Percent of a region's pages that share its texts where it is template.
+CONSTANT = 90
+#: What varying text in an article or main element weighs.
+MARKED = 2
 
 # Fixed values of HTML.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -125,6 +129,8 @@ class Region:
         if name in CONTAINER:
             words = _names(attributes)
             label = ".".join([name, *words[:3]])
+        elif name in BLOCK and (words := _names(attributes)):
+            label = ".".join(["~" + name, *words[:3]])
         chrome = bool(self.stack and self.stack[-1][1]) or is_chrome(name, attributes)
         self.stack.append((name, chrome, label))
 
@@ -150,7 +156,7 @@ class Region:
 
     @property
     def path(self) -> str:
-        return "/".join(label for name, _, label in self.stack if name in CONTAINER)
+        return "/".join(label for name, _, label in self.stack if name in CONTAINER or label[0] == "~")
 
 
 def blocks(page: str) -> list[tuple[str, str]]:
@@ -188,8 +194,6 @@ def stream(page: str) -> list[tuple[str, str]]:
     """Tokens for alignment: tags with their region's path, and texts outside of raw elements."""
     region, out = Region(), []
     for kind, value, attributes in tokens(page):
-        if len(out) >= SAMPLE_TOKENS:
-            break
         if kind == "text":
             text = _WHITE.sub(" ", value).strip()
             if text:
@@ -248,67 +252,87 @@ def infer_wrapper(pages: list[str]) -> list[tuple]:
     return wrapper
 
 
-def regions_of(wrapper: list[tuple]) -> dict[str, list[int]]:
-    """Constant texts and varying ones (slots, and texts of optional groups) by region."""
-    out: dict[str, list[int]] = {}
-
-    def walk(items, varying: bool) -> None:
-        for x in items:
-            if x[0] in ("?", "+"):
-                walk(x[1], True)
-            elif x[0] in ("#text", "#slot"):
-                out.setdefault(x[1].partition("\t")[0], [0, 0])[varying or x[0] == "#slot"] += 1
-
-    walk(wrapper, False)
-    return out
+_MARKED = re.compile(r"(?:^|/)(?:article|main)(?:\.[^/]*)?(?=/|$)")
 
 
-def content_rule(pages: list[str]) -> dict[str, list[str]]:
-    """What a host's wrapper says of its regions: 'template' ones hold constant text only, 'root' has most of the varying text."""
-    wrapper = infer_wrapper(pages)
-    regions = regions_of(wrapper) if len(pages) > 1 else {}
-    template = [r for r, (constant, varying) in regions.items() if constant and not varying]
-    weight: Counter[str] = Counter()
-    for page in pages:
-        for where, text in blocks(page):
-            if where not in template:
-                weight[where] += len(text)
-    root = weight.most_common(1)[0][0] if weight else ""
-    return {"template": sorted(template), "root": [root]}
+def container(region: str) -> str:
+    """Where a region's text is weighed: its outermost article or main element, else its innermost container."""
+    found = _MARKED.search(region)
+    return region[: found.end()] if found else "/".join(x for x in region.split("/") if not x.startswith("~"))
 
 
-_MARKED = re.compile(r"(?:^|/)(?:article|main)(?:[./]|$)")
+def page_regions(page: str) -> list[tuple[str, int, int]]:
+    """(region, digest of its set of texts, characters) of a page."""
+    texts: dict[str, list[str]] = {}
+    for where, text in blocks(page):
+        texts.setdefault(where, []).append(text)
+    return [(r, _digest("\n".join(sorted(set(t)))), sum(map(len, t))) for r, t in texts.items()]
 
 
-def main_text(page: str, rule: dict[str, list[str]]) -> str:
-    """The page's main text: of its article or main element where there is one, else of the wrapper's content root and
-    all regions inside it, else of all regions that are not template."""
-    found = blocks(page)
-    marked = [(r, t) for r, t in found if _MARKED.search(r)]
-    if not marked:
-        root, template = rule["root"][0], set(rule["template"])
-        inside = [(r, t) for r, t in found if root and (r == root or r.startswith(root + "/"))]
-        marked = inside or [(r, t) for r, t in found if r not in template]
-    return " ".join(t for _, t in marked)
+def _digest(text: str) -> int:
+    return int.from_bytes(hashlib.blake2b(text.encode("utf-8", "surrogatepass"), digest_size=8).digest(), "big", signed=True)
 
 
-def infer_rules(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
-    """One row per host: host, rule (JSON)."""
-    rank = F.xxhash64(F.col(id_col))
-    picked = pages.select(host_of(F.col(url_col)).alias("host"), F.pmod(rank, F.lit(SAMPLE)).alias("slot"), F.struct(rank.alias("rank"), F.coalesce(F.col(html_col), F.lit("")).alias("page")).alias("p"))
-    picked = picked.groupBy("host", "slot").agg(F.min("p").alias("p")).groupBy("host").agg(F.sort_array(F.collect_list("p")).alias("sample"))
+def content_rule(regions: list[tuple[str, int, int, int]]) -> dict:
+    """A host's wrapper from (region, pages, pages of the most common set of texts, characters): template regions, and varying text by container."""
+    template = [r for r, pages, top, _ in regions if top > 1 and 100 * top >= CONSTANT * pages]
+    weight: Counter[str] = Counter()
+    for r, _, _, chars in regions:
+        if r not in template:
+            where = container(r)
+            weight[where] += chars * (MARKED if _MARKED.search(where) else 1)
+    return {"template": sorted(template), "weight": dict(sorted(weight.items()))}
+
+
+def main_text(page: str, rule: dict) -> str:
+    """The page's main text: slots in and below its container with the most varying text on the host."""
+    found, template = blocks(page), set(rule["template"])
+    left = [(r, t) for r, t in found if r not in template]
+    # A page of template only is judged by the lengths of its own texts.
+    weight: Counter[str] = Counter(rule["weight"])
+    if not left:
+        left = found
+        for r, t in left:
+            where = container(r)
+            weight[where] += len(t) * (MARKED if _MARKED.search(where) else 1)
+    root = max(sorted({container(r) for r, _ in left}), key=lambda x: weight[x], default="")
+    return " ".join(t for r, t in left if not root or r == root or r.startswith(root + "/"))
+
+
+def infer_rules(pages: DataFrame, url_col: str = "url", html_col: str = "html") -> DataFrame:
+    """One row per host: host, rule (JSON), from all its different pages."""
+
+    def seen(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            out = []
+            for host, page in zip(batch.column(0).to_pylist(), batch.column(1)):
+                page = page.as_py() or ""
+                digest = _digest(page)
+                out += [(host, digest, *x) for x in page_regions(page)]
+            columns = list(zip(*out)) or [()] * 5
+            types = [pa.string(), pa.int64(), pa.string(), pa.int64(), pa.int64()]
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types)], ["host", "page", "region", "texts", "chars"])
+
+    parts = pages.select(host_of(F.col(url_col)).alias("host"), F.col(html_col).alias("page")).mapInArrow(seen, "host string, page long, region string, texts long, chars long")
+    # Equal pages are one page.
+    parts = parts.distinct().groupBy("host", "region", "texts").agg(F.count(F.lit(1)).alias("pages"), F.sum("chars").alias("chars"))
+    parts = parts.groupBy("host", "region").agg(F.sum("pages").alias("pages"), F.max("pages").alias("top"), F.sum("chars").alias("chars"))
+    hosts = parts.groupBy("host").agg(F.sort_array(F.collect_list(F.struct("region", "pages", "top", "chars"))).alias("regions"))
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rules = [json.dumps(content_rule([p["page"] for p in sample if p["page"]])) for sample in batch.column(1).to_pylist()]
+            rules = [json.dumps(content_rule([tuple(r.values()) for r in regions])) for regions in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(rules, pa.string())], ["host", "rule"])
 
-    return picked.select("host", F.transform("sample", lambda p: F.struct(p["page"].alias("page"))).alias("sample")).mapInArrow(rows, "host string, rule string")
+    return hosts.mapInArrow(rows, "host string, rule string")
+
+
+_NO_RULE = json.dumps(content_rule([]))
 
 
 def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
     """One row per page: id, url, text, n_chars."""
-    rules = infer_rules(pages, id_col, url_col, html_col)
+    rules = infer_rules(pages, url_col, html_col)
     asked = pages.select(F.col(id_col).cast("long").alias("id"), F.col(url_col).alias("url"), F.col(html_col).alias("page"), host_of(F.col(url_col)).alias("host"))
     asked = asked.join(rules, "host", "left").select("id", "url", "page", "rule")
 
@@ -317,7 +341,7 @@ def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", htm
         for batch in batches:
             texts = []
             for page, rule in zip(batch.column(2), batch.column(3)):
-                rule = rule.as_py()
+                rule = rule.as_py() or _NO_RULE  # a host without any text has no wrapper
                 if rule not in known:
                     known.clear() if len(known) > 10_000 else None
                     known[rule] = json.loads(rule)

@@ -192,6 +192,28 @@ def test_wrapper_groups():
     assert "?" in kinds and "#slot" in kinds
 
 
+def test_wrappers_decide_inside_and_outside_of_articles(spark):
+    def page(i):
+        return f"<body><article><p>story {i} {'long ' * i}</p><div class='box'>Read more here</div><p class='note'>All rights</p></article><div class='x'>fixed</div></body>"
+
+    # h: template in articles, on more pages than any sample; t: the wrapper's slot outweighs a short article; two: a host with two pages.
+    rows = [(i, f"http://h/{i}", page(i)) for i in range(40)]
+    rows += [(100 + i, f"http://t/{i}", f"<article>ad{i}</article><div class='post'>{'tale ' * 20}{i}</div>") for i in range(4)]
+    rows += [(200 + i, f"http://two/{i}", f"<div class='intro'>Welcome to all</div><div class='post'>text {i}</div>") for i in range(2)]
+    # Template after more than 2,000 tokens; equal pages, which have no slot.
+    rows += [(300 + i, f"http://deep/{i}", "<div class='post'>" + f"<p>x{i}</p>" * 1500 + "</div><div class='post'><div class='end'>The end</div></div>") for i in range(3)]
+    rows += [(400 + i, f"http://same/{i}", "<body><article>one text</article></body>") for i in range(3)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string").repartition(3)
+    got = {r.page_id: r.text for r in html_wrappers.extract(df).collect()}
+    for i in range(40):
+        assert got[i] == f"story {i} {'long ' * i}".strip()
+    for i in range(4):
+        assert got[100 + i] == "tale " * 20 + str(i)
+    assert [got[200 + i] for i in range(2)] == ["text 0", "text 1"]
+    assert [got[300 + i] for i in range(3)] == [" ".join([f"x{i}"] * 1500) for i in range(3)]
+    assert [got[400 + i] for i in range(3)] == ["one text"] * 3
+
+
 def test_url_filter(spark):
     entries = [("bad.example", 10, "add"), ("bad.example", 20, "remove"), ("a.b.example", 5, "add"), ("c.example/x", 1, "add"), ("t.example", 3, "add"), ("t.example", 3, "remove"), (None, 1, "add")]
     urls = [("http://www.bad.example/p", 9), ("http://www.bad.example/p", 10), ("http://bad.example", 19), ("http://bad.example", 20), ("https://u:p@a.b.example:8/x", 6), ("http://c.example/x/y", 2), ("http://c.example/z", 2), (None, 2), ("t.example", 4), ("http://t.example?q", 4)]
