@@ -152,6 +152,47 @@ def encode_custom(df: DataFrame, bits: Column, length: int, keep: Sequence[str]
     return df.select(*kept, _filter_of(bits, length).alias("f")).select(*kept, "f.words", "f.ones")
 
 
+def _spread(x: np.ndarray) -> np.ndarray:
+    """A 64-bit mixing step (wrapping products and shifts)."""
+    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return x ^ (x >> np.uint64(31))
+
+
+def text_mask(text: str | None, size: int = 3, n_words: int = 16) -> tuple[str, np.ndarray]:
+    """Smallest gram's digest, and the signs of the sum of all word grams' vectors of -1 and 1: a whole text of any length in one fixed mask.
+
+    Texts of fewer words are one gram; a text without words has an empty mask and the block ''.
+    """
+    w = (text or "").lower().split()
+    grams = {" ".join(w[i : i + size]) for i in range(max(1, len(w) - size + 1))} if w else set()
+    if not grams:
+        return "", np.zeros(n_words, np.uint64)
+    seeds = np.array(sorted(int.from_bytes(hashlib.blake2b(g.encode("utf-8", "surrogatepass"), digest_size=8).digest(), "little") for g in grams), np.uint64)
+    total = np.zeros(64 * n_words, np.int64)
+    step = np.arange(1, n_words + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    for at in range(0, len(seeds), 4096):
+        part = seeds[at : at + 4096]
+        bits = np.unpackbits(_spread(part[:, None] + step[None, :]).view(np.uint8), axis=1, bitorder="little")
+        total += 2 * bits.sum(axis=0, dtype=np.int64) - len(part)
+    return f"{int(seeds[0]):016x}", np.packbits(total > 0, bitorder="little").view(np.uint64)
+
+
+def encode_texts(df: DataFrame, text: str, keep: Sequence[str] = ("party", "rec_id")) -> DataFrame:
+    """block, words and ones of whole texts (see :func:`text_mask`), one row per row of ``df``; the texts are dropped."""
+    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.select(*keep).schema)
+
+    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            made = [text_mask(t.as_py()) for t in batch.column(len(keep))]
+            words = pa.array([w.view(np.int64).tolist() for _, w in made], pa.list_(pa.int64()))
+            ones = pa.array([int(np.bitwise_count(w).sum()) for _, w in made], pa.int32())
+            columns = [*(batch.column(i) for i in range(len(keep))), pa.array([b for b, _ in made], pa.string()), words, ones]
+            yield pa.RecordBatch.from_arrays(columns, [*keep, "block", "words", "ones"])
+
+    return df.select(*keep, text).mapInArrow(rows, f"{fields}, block string, words array<long>, ones int")
+
+
 def sign_bits(vector: Column) -> Column:
     """Positions of a vector's positive entries."""
     return F.filter(F.sequence(F.lit(1), F.size(vector)), lambda i: F.element_at(vector, i) > 0)

@@ -158,6 +158,15 @@ def e12_documents(s, d):
     return invariants(clustering.cluster_early(m, s_t=0.85))
 
 
+@query("e12_whole_documents")
+def e12_whole_documents(s, d):
+    """Whole documents as noisy records, one record each; sources are parties, and blocks are the smallest of a text's word grams."""
+    docs = load(s, d, "documents", "doc_id", "text", "source").withColumnRenamed("doc_id", "rec_id").withColumn("party", F.substring("source", 4, 2).cast("int"))
+    from blindmatch.queries.linkage import invariants
+
+    return invariants(clustering.cluster_early(masks.encode_texts(docs, "text"), s_t=0.85))
+
+
 @query("e13_ablation")
 def e13_ablation(s, d):
     """Order of parties by cluster similarity."""

@@ -49,3 +49,35 @@ def test_worked_similarities():
     assert round(2 * z / (a + b), 2) == 0.83
     counts = np.array([3] * 4 + [2, 2, 1, 1])
     assert round(3 * (counts == 3).sum() / counts.sum(), 2) == 0.67
+
+
+def test_whole_documents(spark):
+    import hashlib
+
+    from blindmatch.queries.experiments import e12_whole_documents
+
+    documents = spark.read.parquet(f"{SF}/documents.parquet")
+    got = e12_whole_documents(spark, SF).first()
+    assert (got.records, got.twice, got.same_party) == (documents.count(), 0, 0)
+    # Texts that begin alike and end differently are no match; brute-force signs over all grams.
+    texts = ["same start " * 8 + " ".join(f"{t}{i}" for i in range(300)) for t in "ab"] + ["one", "", None]
+    df = spark.createDataFrame([(i % 2, i, t) for i, t in enumerate(texts)], "party int, rec_id long, text string")
+    mask = {r.rec_id: r for r in masks.encode_texts(df, "text").collect()}
+    m64 = 2**64 - 1
+    for i, t in enumerate(texts):
+        w = (t or "").split()
+        total = [0] * 1024
+        seeds = [int.from_bytes(hashlib.blake2b(g.encode(), digest_size=8).digest(), "little") for g in {" ".join(w[j : j + 3]) for j in range(max(1, len(w) - 2))} if g]
+        for seed in seeds:
+            for k in range(16):
+                x = (seed + (k + 1) * 0x9E3779B97F4A7C15) & m64
+                x = ((x ^ (x >> 30)) * 0xBF58476D1CE4E5B9) & m64
+                x = ((x ^ (x >> 27)) * 0x94D049BB133111EB) & m64
+                x ^= x >> 31
+                for b in range(64):
+                    total[64 * k + b] += 1 if x >> b & 1 else -1
+        words = [sum(1 << b for b in range(64) if total[64 * k + b] > 0) for k in range(16)]
+        assert [x & m64 for x in mask[i].words] == words and mask[i].ones == sum(x > 0 for x in total)
+        assert mask[i].block == (f"{min(seeds):016x}" if seeds else "")
+    both = [np.array(mask[i].words, np.int64).view(np.uint64) for i in (0, 1)]
+    assert 2 * np.bitwise_count(both[0] & both[1]).sum() / sum(np.bitwise_count(x).sum() for x in both) < 0.85
