@@ -81,3 +81,15 @@ def test_whole_documents(spark):
         assert mask[i].block == (f"{min(seeds):016x}" if seeds else "")
     both = [np.array(mask[i].words, np.int64).view(np.uint64) for i in (0, 1)]
     assert 2 * np.bitwise_count(both[0] & both[1]).sum() / sum(np.bitwise_count(x).sum() for x in both) < 0.85
+
+
+def test_recursive_reach(spark):
+    from blindmatch.queries.relational import recursive_reach
+
+    orders = [(r.o_custkey, r.o_orderkey) for r in spark.read.parquet(f"{SF}/orders.parquet").select("o_custkey", "o_orderkey").collect()]
+    want = {}
+    for c, o in orders:
+        n = sum(c == x and y > o for x, y in orders)
+        if n:
+            want[o] = n
+    assert {r.u: r.reached for r in recursive_reach(spark, SF).collect()} == want
