@@ -1,4 +1,4 @@
-"""One-to-one mappings on edge tables: block, x, y, weight.
+"""One-to-one mappings on edge tables: block, x, y, weight, and place where x is ordered by (place, x) and not by itself.
 
 Parts in which one side has a single vertex are solved by an aggregate; the others go to the solver part by part,
 so a task gets connected parts, not blocks.
@@ -31,10 +31,18 @@ def edge_parts(edges: DataFrame, most_rounds: int = 50) -> DataFrame:
     raise RuntimeError("parts did not settle")
 
 
+def _placed(edges: DataFrame) -> DataFrame:
+    place = F.col("place") if "place" in edges.columns else F.lit(0)
+    return edges.where("weight > 0").select("block", "x", "y", "weight", place.cast("int").alias("place"))
+
+
 def _solve(mapping):
     def solve(table: pa.Table) -> pa.Table:
-        table = table.sort_by([("x", "ascending"), ("y", "ascending")])
-        taken = mapping(table["x"].to_numpy(), table["y"].to_numpy(), table["weight"].to_numpy())
+        table = table.sort_by([("place", "ascending"), ("x", "ascending"), ("y", "ascending")])
+        x, place = table["x"].to_numpy(), table["place"].to_numpy()
+        # Numbers of the left vertices in their order.
+        left = np.cumsum(np.r_[False, (x[1:] != x[:-1]) | (place[1:] != place[:-1])])
+        taken = mapping(left, table["y"].to_numpy(), table["weight"].to_numpy())
         return table.take(pa.array(taken)).select(["block", "x", "y", "weight"])
 
     return solve
@@ -42,36 +50,35 @@ def _solve(mapping):
 
 def assign_optimal(edges: DataFrame) -> DataFrame:
     """A mapping of the greatest total weight; edges of weight 0 or less are none."""
-    edges = edges.where("weight > 0").select("block", "x", "y", "weight")
-    parts = edge_parts(edges)
+    parts = edge_parts(_placed(edges))
     sides = parts.groupBy("block", "part").agg(F.min("x").alias("x0"), F.max("x").alias("x1"), F.min("y").alias("y0"), F.max("y").alias("y1"))
     parts = parts.join(sides, ["block", "part"]).withColumn("star", (F.col("x0") == F.col("x1")) | (F.col("y0") == F.col("y1")))
-    best = F.min_by(F.struct("x", "y", "weight"), F.struct(-F.col("weight"), "x", "y")).alias("e")
+    best = F.min_by(F.struct("x", "y", "weight"), F.struct(-F.col("weight"), "place", "x", "y")).alias("e")
     stars = parts.where("star").groupBy("block", "part").agg(best).select("block", "e.x", "e.y", "e.weight")
-    rest = parts.where("not star").select("block", "part", "x", "y", "weight").groupBy("block", "part").applyInArrow(_solve(best_mapping), EDGE)
+    rest = parts.where("not star").select("block", "part", "x", "y", "weight", "place").groupBy("block", "part").applyInArrow(_solve(best_mapping), EDGE)
     return stars.union(rest)
 
 
 def assign_greedy(edges: DataFrame) -> DataFrame:
     """x in order of its key takes its best free y."""
-    parts = edge_parts(edges.where("weight > 0").select("block", "x", "y", "weight"))
+    parts = edge_parts(_placed(edges))
     return parts.groupBy("block", "part").applyInArrow(_solve(greedy_mapping), EDGE)
 
 
 def assign_best_first(edges: DataFrame, most_rounds: int = 100) -> DataFrame:
     """The heaviest free edge first (ties by x, then y), by rounds that take all edges that are best on both sides."""
-    left = cut(edges.where("weight > 0").select("block", "x", "y", "weight"), "edges")
+    left = cut(_placed(edges), "edges")
     taken = left.limit(0)
-    order = [F.desc("weight"), "x", "y"]
+    order = [F.desc("weight"), "place", "x", "y"]
     for _ in range(most_rounds):
         rx = F.row_number().over(Window.partitionBy("block", "x").orderBy(*order))
         ry = F.row_number().over(Window.partitionBy("block", "y").orderBy(*order))
         both = cut(left.withColumn("rx", rx).withColumn("ry", ry).where("rx = 1 and ry = 1").drop("rx", "ry"), "taken")
         if not both.limit(1).count():
-            return taken
+            return taken.select("block", "x", "y", "weight")
         taken = taken.union(both)
         left = left.join(both.select("block", "x").distinct(), ["block", "x"], "left_anti").join(both.select("block", "y").distinct(), ["block", "y"], "left_anti")
-        left = cut(left.select("block", "x", "y", "weight"), "edges")
+        left = cut(left.select("block", "x", "y", "weight", "place"), "edges")
     raise RuntimeError("mapping did not settle")
 
 

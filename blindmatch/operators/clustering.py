@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from blindmatch.functions.blocking import party_order
-from blindmatch.functions.masks import common_ones
+from blindmatch.functions.masks import LENGTH, common_ones
 from blindmatch.operators import kernels
 from blindmatch.operators.assignment import assign_best_first, assign_greedy, assign_optimal
 from blindmatch.plans.lineage import cut
@@ -91,29 +91,45 @@ def cluster_early(masked: DataFrame, s_t: float = 0.8, ord="size", cluster_sim:
     return in_tasks(rows.join(large, "block", "left_anti")).union(_early_rounds(rows.join(large, "block", "left_semi"), order, s_t, cluster_sim, mapping))
 
 
+def _pair_scores(members: DataFrame, new: DataFrame, how: str) -> DataFrame:
+    """Edges of arrivals and clusters by the similarities of their pairs of records."""
+    score = {"average": F.round(F.avg("s"), kernels.DIGITS), "min": F.min("s"), "max": F.max("s")}[how]
+    a, b = members.alias("a"), new.alias("b")
+    z = common_ones(F.col("a.words"), F.col("b.words"))
+    total = F.col("a.ones") + F.col("b.ones")
+    pairs = a.join(b, F.col("a.block") == F.col("b.block")).select(
+        F.col("a.block").alias("block"), F.col("a.cluster_id").alias("x"), F.col("a.seed_place").alias("place"), F.col("b.rec_id").alias("y"), F.when(total > 0, 2 * z / total).otherwise(0.0).alias("s")
+    )
+    return pairs.groupBy("block", "x", "place", "y").agg(score.alias("weight"))
+
+
+def _group_scores(members: DataFrame, new: DataFrame, how: str) -> DataFrame:
+    """Edges by Dice of a cluster's counting filter with the arrival added: a cluster is its common words, its ones and its size."""
+    both = F.array(*(F.bit_and(F.col("words")[i]) for i in range((LENGTH + 63) // 64)))
+    clusters = members.groupBy("block", "cluster_id", "seed_place").agg(both.alias("words"), F.sum("ones").alias("ones"), F.count(F.lit(1)).alias("n"))
+    a, b = clusters.alias("a"), new.alias("b")
+    total = F.col("a.ones") + F.col("b.ones")
+    dice = (F.col("a.n") + 1) * common_ones(F.col("a.words"), F.col("b.words")) / total
+    return a.join(b, F.col("a.block") == F.col("b.block")).select(
+        F.col("a.block").alias("block"), F.col("a.cluster_id").alias("x"), F.col("a.seed_place").alias("place"), F.col("b.rec_id").alias("y"), F.when(total > 0, F.round(dice, kernels.DIGITS)).otherwise(0.0).alias("weight")
+    )
+
+
 def _early_rounds(rows: DataFrame, order: list[int], s_t: float, how: str, mapping: str) -> DataFrame:
     """The same by joins: a round scores arrivals against members by block, maps, and writes the clusters."""
-    if how not in ("average", "min", "max"):
-        raise ValueError(f"{how} has no distributed form")
     solve = {"optimal": assign_optimal, "greedy": assign_greedy, "best_first": assign_best_first}[mapping]
-    score = {"average": F.round(F.avg("s"), kernels.DIGITS), "min": F.min("s"), "max": F.max("s")}[how]
     place = F.element_at(F.map_from_arrays(F.array(*map(F.lit, order)), F.array(*map(F.lit, range(len(order))))), F.col("party"))
     rows = rows.withColumn("ones", common_ones(F.col("words"), F.col("words"))).withColumn("place", place)
-    members = rows.where("place = 0").withColumn("cluster_id", F.col("rec_id"))
+    members = rows.where("place = 0").withColumn("cluster_id", F.col("rec_id")).withColumn("seed_place", F.lit(0))
     for i in range(1, len(order)):
         new = rows.where(F.col("place") == i)
-        a, b = members.alias("a"), new.alias("b")
-        z = common_ones(F.col("a.words"), F.col("b.words"))
-        total = F.col("a.ones") + F.col("b.ones")
-        pairs = a.join(b, F.col("a.block") == F.col("b.block")).select(
-            F.col("a.block").alias("block"), F.col("a.cluster_id").alias("x"), F.col("b.rec_id").alias("y"), F.when(total > 0, 2 * z / total).otherwise(0.0).alias("s")
-        )
-        edges = pairs.groupBy("block", "x", "y").agg(score.alias("weight")).where(F.col("weight") >= s_t)
-        # Clusters are scanned by the place of their seeds, as they are within a task.
-        seeds = members.select("block", F.col("cluster_id").alias("x")).distinct()
-        taken = solve(edges.join(seeds, ["block", "x"])).select("block", F.col("y").alias("rec_id"), F.col("x").alias("found"))
-        arrived = new.join(taken, ["block", "rec_id"], "left").withColumn("cluster_id", F.coalesce("found", "rec_id")).select(*members.columns)
-        members = cut(members.union(arrived), "clusters")
+        # Clusters are scanned by the place of their seeds, then by seed, as they are within a task.
+        edges = (_group_scores if how == "cbf" else _pair_scores)(members, new, how).where(F.col("weight") >= s_t)
+        seeds = members.select("block", F.col("cluster_id").alias("found"), "seed_place").distinct()
+        taken = solve(edges).select("block", F.col("y").alias("rec_id"), F.col("x").alias("found"))
+        taken = taken.join(seeds.withColumnRenamed("seed_place", "found_place"), ["block", "found"])
+        arrived = new.join(taken, ["block", "rec_id"], "left").withColumn("cluster_id", F.coalesce("found", "rec_id"))
+        members = cut(members.union(arrived.withColumn("seed_place", F.coalesce("found_place", F.lit(i))).select(*members.columns)), "clusters")
     size = members.groupBy("block", "cluster_id").agg(F.count(F.lit(1)).cast("int").alias("cluster_size"))
     return members.join(size, ["block", "cluster_id"]).select("block", "cluster_id", "party", "rec_id", "cluster_size")
 

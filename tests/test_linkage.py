@@ -38,6 +38,15 @@ def test_modes_agree(spark):
     assert a == b and len(a) == m.count()
 
 
+@pytest.mark.parametrize("how,mapping", [("average", "optimal"), ("average", "greedy"), ("cbf", "optimal"), ("cbf", "greedy")])
+def test_modes_agree_where_party_order_differs_from_the_numbering(spark, how, mapping):
+    m = W.masked(W.parties(spark, SF, 4, 40), "last").cache()
+    run = lambda **k: {r.rec_id: r.cluster_id for r in clustering.cluster_early(m, s_t=0.6, ord=[3, 1, 4, 2], cluster_sim=how, mapping=mapping, **k).collect()}
+    a = run(mode="block")
+    assert a == run(mode="distributed") and len(a) == m.count()
+    assert a == run(task_records=20)
+
+
 def test_tuple_guard(spark):
     m = W.masked(W.parties(spark, SF, 3), "none")
     with pytest.raises(baselines.TooManyTuples):
