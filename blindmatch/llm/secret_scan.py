@@ -3,11 +3,12 @@
 Base kinds are patterns: ``assign`` (a sensitive word, a sign and a value of six or more characters),
 ``access`` (AKIA keys) and ``hex`` (24 or more hexadecimal digits).
 
-The lexer reads lines as assignments, ``name = value``, ``name: value``, ``"name": value``, ``name := value``,
-``export NAME=value`` and ``name => value``, with values made of string literals, names and concatenations of
-both. Constants are propagated in order of the text: a name stands for the literals assigned to it last, so a
-literal reaches every target that it flows into. A literal is scored by the most sensitive name that it flows
-into, plus its length and variety, and is reported as kind ``literal`` at ``MIN_SCORE`` or more,
+The lexer visits every assignment sign of the text (``=``, ``:``, ``:=``, ``=>``), wherever it stands in a line: after a separator,
+a bracket, a dash, modifiers or a type. The target is the name before the sign (quoted, or with an index or ``[]``, or not), and the value is made of string
+literals, names and concatenations of both; a literal that is a value is one token, so signs in it do not count. ``a = b = value`` and
+``name: type = value`` give the value to each name. Constants are propagated in order of the text: a name stands for the literals
+assigned to it last, so a literal reaches every target that it flows into, however many there are. A literal is scored by the most sensitive
+name that it flows into, plus its length and variety, and is reported as kind ``literal`` at ``MIN_SCORE`` or more,
 unless a base span covers it. Base spans always stay.
 
 Whole texts are scanned, one text at a time; nothing is shuffled.
@@ -42,11 +43,12 @@ SENSITIVE = {
     "privatekey": 4, "credential": 4, "credentials": 4, "auth": 2, "signature": 2, "key": 2,
 }
 
-_LINE = re.compile(
-    r"""^[\x20\t]*(?:export\x20+|set\x20+|const\x20+|let\x20+|var\x20+|final\x20+|static\x20+|[{,]\x20*)*"""
-    r"""["']?(?P<name>[A-Za-z_][A-Za-z0-9_.-]*)["']?[\x20\t]*(?P<sign>:=|=>|[:=])(?![=:/])[\x20\t]*(?P<value>\S[^\n]*)""",
-    re.A | re.M,
-)
+_SIGN = re.compile(r"(?<![=:!<>])(?P<sign>:=|=>|[:=])(?![=:/])")
+_NAME_CHARS = "abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789_.-"
+_INDEX = re.compile(r"""\[[^\[\]\n"']*\]\Z""")
+#: What may stand between the sign of a name and a second one: another target, or a type.
+_BETWEEN = re.compile(r"""[\x20\t]*[&*]?[A-Za-z_][A-Za-z0-9_.]*+(?:[\x20\t]*[<\[][^=:;\n"]*[>\]])?(?:[\x20\t]*\|[\x20\t]*[A-Za-z_]++)*[\x20\t]*[?*&]?[\x20\t]*""", re.A)
+_TYPES = frozenset("str string text char varchar bytes any object optional option union final null none undefined".split())
 _ATOM = re.compile(r"""[\x20\t]*(?:"((?:[^"\\\n]|\\.)*)"|'((?:[^'\\\n]|\\.)*)'|([A-Za-z_][A-Za-z0-9_.-]*))""", re.A)
 _PLUS = re.compile(r"[\x20\t]*[+.&][\x20\t]*")
 _BARE = re.compile(r"[A-Za-z0-9+/_.=~!@%^*-]+", re.A)
@@ -81,50 +83,97 @@ def literal_score(value: str) -> int:
     return 1 + (len(value) >= 12) + (classes >= 2) + (classes >= 3)
 
 
-def assignments(text: str) -> Iterator[tuple[str, list[tuple[str | None, tuple[int, int]]]]]:
-    """Names with the parts of their values: (None, span) for a literal, (name, span) for what may stand for another."""
-    for m in _LINE.finditer(text):
-        at, parts = m.start("value"), []
-        while a := _ATOM.match(text, at, m.end()):
-            group = a.lastindex
-            if group == 3 and not parts and m["sign"] in (":", "=") and not _PLUS.match(text, a.end(), m.end()):
-                bare = _BARE.match(text, a.start(3), m.end())
-                whole = bare[0] if bare else a[3]
-                if whole != a[3]:  # an unquoted value, not a name
-                    parts.append((None, bare.span()))
-                    break
-            parts.append((a[3] if group == 3 else None, a.span(group)))
-            at = a.end()
-            if not (p := _PLUS.match(text, at, m.end())):
-                break
-            at = p.end()
-        if not parts and (bare := _BARE.match(text, at, m.end())):
-            parts.append((None, bare.span()))
-        if parts:
-            yield m["name"], parts
+def target(before: str) -> str:
+    """The name that ends ``before``, without its quotes and index; '' for none."""
+    before = before.rstrip(" \t")
+    if before.endswith("]"):
+        index = _INDEX.search(before, before.rfind("["))
+        before = before[: index.start()] if index else before[:-1]
+        before = before.rstrip(" \t")
+    if before.endswith(('"', "'")):
+        before = before[:-1]
+    return before[len(before.rstrip(_NAME_CHARS)) :].lstrip("0123456789.-")
+
+
+def _value(text: str, at: int, sign: str) -> tuple[list[tuple[str | None, tuple[int, int]]], int]:
+    """Parts of the value at a place, and where it ends."""
+    parts: list[tuple[str | None, tuple[int, int]]] = []
+    while a := _ATOM.match(text, at):
+        group = a.lastindex
+        if group == 3 and not parts and sign in (":", "=") and not _PLUS.match(text, a.end()):
+            bare = _BARE.match(text, a.start(3))
+            if bare and bare[0] != a[3]:  # an unquoted value, not a name
+                return [(None, bare.span())], bare.end()
+        parts.append((a[3] if group == 3 else None, a.span(group)))
+        at = a.end()
+        if not (p := _PLUS.match(text, at)):
+            break
+        at = p.end()
+    if not parts:
+        while text[at : at + 1] in (" ", "\t"):
+            at += 1
+        if bare := _BARE.match(text, at):
+            return [(None, bare.span())], bare.end()
+    return parts, at
+
+
+def assignments(text: str) -> Iterator[tuple[list[str], list[tuple[str | None, tuple[int, int]]]]]:
+    """Targets with the parts of their values: (None, span) for a literal, (name, span) for what may stand for another."""
+    at = last = 0
+    held: tuple[list[str], list, int, str] | None = None  # targets whose value may prove to be a target or type
+    while m := _SIGN.search(text, at):
+        name, names = target(text[last : m.start()]), []
+        if held:
+            if m["sign"] in ("=", ":=") and _BETWEEN.fullmatch(text, held[2], m.start()):
+                names = held[0]
+                if held[3] == ":" and name.lower() in _TYPES:
+                    name = ""
+            elif held[1]:
+                yield held[0], held[1]
+            held = None
+        names = names + [name] if name else names
+        at = last = m.end()
+        if not names:
+            continue
+        parts, end = _value(text, at, m["sign"])
+        if any(part is None for part, _ in parts):
+            yield names, parts
+            at = last = end
+            # A bare value may hold another assignment, as in ``a=b=x``.
+            start, stop = parts[0][1]
+            if stop == end and "=" in text[start:end]:
+                at = last = start
+        else:
+            held = names, parts, m.end(), m["sign"]
+    if held and held[1]:
+        yield held[0], held[1]
 
 
 def lexed_spans(text: str) -> list[tuple[int, int, str]]:
     """Literals that flow into sensitive names. An unquoted word that nothing was assigned to is a literal only where it is the whole value and has a digit."""
     if "=" not in text and ":" not in text:
         return []
-    flows: dict[str, list[tuple[int, int]]] = {}
+    known: dict[str, int] = {}
+    weights: list[int] = []
+    sources: list[list[int | tuple[int, int]]] = []
+    for names, parts in assignments(text):
+        # A source is a literal's span or the number of the assignment that a name stands for.
+        found = [at if part is None else known[part] for part, at in parts if part is None or part in known]
+        if len(parts) == 1 and not found and re.search("[0-9]", parts[0][0]):
+            found.append(parts[0][1])
+        for name in names:
+            known[name] = len(weights)
+        weights.append(max(map(name_score, names)))
+        sources.append(found)
     best: Counter[tuple[int, int]] = Counter()
-    for name, parts in assignments(text):
-        spans = []
-        for part, at in parts:
-            if part is None:
-                spans.append(at)
-            elif part in flows:
-                spans += flows[part]
-            elif len(parts) == 1 and re.search("[0-9]", part):
-                spans.append(at)
-        flows[name] = spans[:64]
-        weight = name_score(name)
-        if weight:
-            for s in spans:
-                best[s] = max(best[s], weight)
-    return [(a, b, "literal") for (a, b), weight in best.items() if (points := literal_score(text[a:b])) and weight + points >= MIN_SCORE]
+    # Sources come before what they flow into, so one pass from the end carries the weights to the literals.
+    for i in range(len(sources) - 1, -1, -1):
+        for x in sources[i]:
+            if isinstance(x, int):
+                weights[x] = max(weights[x], weights[i])
+            else:
+                best[x] = max(best[x], weights[i])
+    return [(a, b, "literal") for (a, b), weight in best.items() if weight and (points := literal_score(text[a:b])) and weight + points >= MIN_SCORE]
 
 
 def all_spans(text: str) -> tuple[list[tuple[int, int, str]], list[tuple[int, int, str]]]:

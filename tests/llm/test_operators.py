@@ -165,6 +165,25 @@ def test_secrets(spark):
     assert got[7].spans == "literal:8:20"
 
 
+@pytest.mark.parametrize(
+    "text",
+    [
+        '{"user": "bob", "db_pwd": "@"}', 'a = 1; pwd = "@"; b = 2', 'connect(host="h", pwd="@")', "x:\n  - pwd: @\n", 'private static final String PASSPHRASE = "@";', 'const pwd: string = "@"',
+        'pwd: Optional[str] = "@"', 'char pwd[] = "@";', 'cfg["pwd"] = "@"', 'other = pwd = "@"', "opts=pwd=@", "host=db;pwd=@;x=1", 's="@";user="b";f(pwd=s)', '{"a":"b=","c":[1,{"pwd":"@"}]}', "private key: '@'",
+    ],
+)
+def test_every_pair_of_a_line(text):
+    secret = "Zx81kQp0w9Lm"
+    at = text.index("@")
+    assert (at, at + len(secret), "literal") in secret_scan.all_spans(text.replace("@", secret))[1]
+
+
+def test_all_literals_that_flow_through_a_name():
+    text = "".join(f's{i} = "Zq{i:05d}xYzAb"\n' for i in range(200)) + "whole = " + " + ".join(f"s{i}" for i in range(200)) + "\ndb_pwd = whole\n"
+    assert len(secret_scan.lexed_spans(text)) == 200
+    assert secret_scan.lexed_spans('if pwd == "Zx81kQp0w9Lm" and pwd != "Zx81kQp0w9Ln": pass') == []
+
+
 def test_warc(spark):
     big = "<p>" + "é" * 200
     pages = [(1, "http://a/\r\nx", big, "z"), (2, None, big, "z"), (3, "", None, "z"), (4, "http://b", "", "z"), (5, "http://c", "x" * 99, "z"), (6, "http://c", "x" * 99, "z"), (7, "http://d", "WARC/1.1\r\n\r\n" * 20, "z"), (None, "http://n", big, "z")]
