@@ -1,14 +1,15 @@
 """Quality rules: base rules, and a hashed n-gram log-likelihood ratio of trusted target to raw corpus.
 
 Words and word pairs of a text are hashed into ``BUCKETS`` features. Two multinomials over the features are
-counted: the raw corpus over all documents, with one added to each, and the trusted target over at most
-``TRUSTED`` labelled documents (those of smallest hashed id; the bound is for the fit only), smoothed towards
-the raw corpus so that features without evidence have a ratio of 0. A document's
+counted: the raw corpus over all documents, and the trusted target over at most
+``TRUSTED`` labelled documents (those of smallest hashed id; the bound is for the fit only). A feature's ratio is that of its trusted
+count to the count that its share of the raw corpus would give, each with ``PRIOR`` added, so features without evidence have a
+ratio near 0, whatever the numbers of buckets and of different words. A document's
 score is the mean log ratio over its features, so long texts score like short ones, and a document is kept
 where it passes the base rules and scores at least ``THRESHOLD``; nothing is random.
 
-The counts are two arrays of ``BUCKETS`` numbers, summed in tasks before they are shuffled; what reaches the
-driver has that fixed size.
+The counts are two arrays of ``BUCKETS`` numbers, summed in tasks before they are shuffled (buckets that a task has not
+seen are not sent); what reaches the driver has at most that fixed size.
 
 Defined cases: null and empty texts have no words, score 0 and fail the base rules; with no trusted
 document the ratio is 0 for every text and only the base rules decide; rows that repeat an id are each
@@ -26,9 +27,9 @@ from pyspark.sql import functions as F
 
 from blindmatch.llm.words import Words, chunks, mix
 
-BUCKETS = 1 << 14
+BUCKETS = 1 << 20
 TRUSTED = 20_000
-#: Pseudo-counts per feature that the trusted multinomial takes in the proportions of the raw one.
+#: Pseudo-counts of a feature, both for its trusted and for its expected count.
 PRIOR = 4
 THRESHOLD = -0.1
 MIN_WORDS = 50
@@ -93,17 +94,17 @@ def fit_ratio(docs: DataFrame, trusted: DataFrame | None, id_col: str = "doc_id"
                 bucket, doc = _features(words)
                 counts[0] += np.bincount(bucket, minlength=BUCKETS)
                 counts[1] += np.bincount(bucket[good[low:high][doc]], minlength=BUCKETS)
-        yield pa.RecordBatch.from_arrays([pa.array(np.arange(BUCKETS)), pa.array(counts[0]), pa.array(counts[1])], ["bucket", "raw", "good"])
+        seen = np.flatnonzero(counts[0])
+        yield pa.RecordBatch.from_arrays([pa.array(seen), pa.array(counts[0][seen]), pa.array(counts[1][seen])], ["bucket", "raw", "good"])
 
     counted = docs.select(F.col(id_col).cast("long"), F.col(text_col)).mapInArrow(rows, "bucket long, raw long, good long")
     table = counted.groupBy("bucket").agg(F.sum("raw").alias("raw"), F.sum("good").alias("good")).toArrow()
-    raw, good = np.ones(BUCKETS), np.zeros(BUCKETS)
+    raw, good = np.zeros(BUCKETS), np.zeros(BUCKETS)
     at = table["bucket"].to_numpy()
-    raw[at] += table["raw"].to_numpy()
-    good[at] += table["good"].to_numpy()
-    raw /= raw.sum()
-    good += PRIOR * BUCKETS * raw
-    return np.log(good / good.sum()) - np.log(raw)
+    raw[at] = table["raw"].to_numpy()
+    good[at] = table["good"].to_numpy()
+    expected = raw * (good.sum() / max(raw.sum(), 1))
+    return np.log((good + PRIOR) / (expected + PRIOR))
 
 
 _COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")

@@ -1,6 +1,7 @@
 """Corpus operators on small tables with nulls, ties, repeated rows, empty tables and clashing columns."""
 
 import hashlib
+import os
 import random
 import re
 from collections import Counter
@@ -165,6 +166,18 @@ def test_secrets(spark):
     assert got[7].spans == "literal:8:20"
 
 
+@pytest.mark.parametrize("sf", ["0.001", "0.01", "0.1"])
+def test_quality_tells_junk_at_every_size(spark, sf):
+    from blindmatch.llm import queries
+
+    folder = f"/root/testdata/sf{sf}"
+    if not os.path.isdir(folder):
+        pytest.skip("the given tables are absent")
+    judged = queries.op8_quality_rules(spark, folder).where("not base_failed").join(queries.table(spark, folder, "labels"), "doc_id")
+    n = {r.quality: (r["n"], r.kept) for r in judged.groupBy("quality").agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("kept").cast("int")).alias("kept")).collect()}
+    assert n[0][1] <= 0.01 * n[0][0] and n[1][1] >= 0.98 * n[1][0]
+
+
 @pytest.mark.parametrize(
     "text",
     [
