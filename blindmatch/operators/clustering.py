@@ -115,8 +115,13 @@ def _group_scores(members: DataFrame, new: DataFrame, how: str) -> DataFrame:
     )
 
 
-def _early_rounds(rows: DataFrame, order: list[int], s_t: float, how: str, mapping: str) -> DataFrame:
-    """The same by joins: a round scores arrivals against members by block, maps, and writes the clusters."""
+def cluster_early_resalted(remask, ord, s_t: float = 0.8, mapping: str = "optimal") -> DataFrame:
+    """Early mapping on counting filters with a new encoding in each round: ``remask(i)`` gives the masked records of round i."""
+    return _early_rounds(remask(0).select("block", "party", "rec_id", "words"), list(ord), s_t, "cbf", mapping, remask)
+
+
+def _early_rounds(rows: DataFrame, order: list[int], s_t: float, how: str, mapping: str, remask=None) -> DataFrame:
+    """The same by joins: a round scores arrivals against members by block, maps, and writes the clusters. With ``remask``, a round compares its own encoding of all records."""
     solve = {"optimal": assign_optimal, "greedy": assign_greedy, "best_first": assign_best_first}[mapping]
     place = F.element_at(F.map_from_arrays(F.array(*map(F.lit, order)), F.array(*map(F.lit, range(len(order))))), F.col("party"))
     rows = rows.withColumn("ones", common_ones(F.col("words"), F.col("words"))).withColumn("place", place)
@@ -124,7 +129,11 @@ def _early_rounds(rows: DataFrame, order: list[int], s_t: float, how: str, mappi
     for i in range(1, len(order)):
         new = rows.where(F.col("place") == i)
         # Clusters are scanned by the place of their seeds, then by seed, as they are within a task.
-        edges = (_group_scores if how == "cbf" else _pair_scores)(members, new, how).where(F.col("weight") >= s_t)
+        sides = [members, new]
+        if remask:
+            fresh = remask(i).select("rec_id", "words", "ones")
+            sides = [x.drop("words", "ones").join(fresh, "rec_id") for x in sides]
+        edges = (_group_scores if how == "cbf" else _pair_scores)(*sides, how).where(F.col("weight") >= s_t)
         seeds = members.select("block", F.col("cluster_id").alias("found"), "seed_place").distinct()
         taken = solve(edges).select("block", F.col("y").alias("rec_id"), F.col("x").alias("found"))
         taken = taken.join(seeds.withColumnRenamed("seed_place", "found_place"), ["block", "found"])

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from functools import reduce
 
 from pyspark.sql import DataFrame
@@ -41,7 +42,7 @@ def _setting(s, d, p, rate, profile="quarter", block="first_last"):
 def e1_quality(s, d):
     """Mappings compared on clean and corrupted data."""
     out = []
-    for p in (3, 5):
+    for p in (3, 5, 7, 10):
         for rate in (0, 20, 40):
             m, t = _setting(s, d, p, rate)
             out += [_tag(measures.quality(f(m), t), p=p, corrupted=rate, method=n) for n, f in METHODS.items()]
@@ -53,8 +54,8 @@ def e2_threshold_sweep(s, d):
     """Quality by threshold; the masks are made once a corruption level."""
     out = []
     for rate in (0, 20, 40):
-        m, t = _setting(s, d, 5, rate)
-        out += [_tag(measures.quality(clustering.cluster_early(m, s_t=x / 100), t), corrupted=rate, threshold=x / 100) for x in (60, 70, 75, 80, 85, 90, 95)]
+        m, t = _setting(s, d, 10, rate)
+        out += [_tag(measures.quality(clustering.cluster_early(m, s_t=x / 100), t), corrupted=rate, threshold=x / 100) for x in range(60, 101, 5)]
     return _all(out)
 
 
@@ -65,10 +66,22 @@ def e3_subset_size(s, d):
     out = []
     for n in ("early", "late", "greedy"):
         found = cut(METHODS[n](m), "found")
-        out += [_tag(measures.quality(found, t, k), method=n, s_m=k) for k in range(2, 11, 2)]
+        out += [_tag(measures.quality(found, t, k), method=n, s_m=k) for k in range(2, 11)]
     return _all(out)
 
 
+@query("e4_scalability")
+def e4_scalability(s, d):
+    """Seconds of early mapping by number of parties and blocking key, measured when the query is built; sizes are those of the tables."""
+    rows = []
+    for p in (3, 5, 7, 10):
+        for block in ("last", "first_last"):
+            began = time.perf_counter()
+            n = clustering.cluster_early(W.masked(W.parties(s, d, p), block)).count()
+            rows.append((p, block, n, time.perf_counter() - began))
+    return s.createDataFrame(rows, "p int, block string, records long, seconds double")
+
+
 @query("e6_baselines")
 def e6_baselines(s, d):
     """Against the full-set baselines: quality on entities of all parties, and guarded where tuples explode."""

@@ -122,6 +122,14 @@ for _name, _run in {
     query(_name, _INVARIANT)(lambda s, d, f=_run: invariants(f(W.masked(W.parties(s, d, 5, 20)))))
 
 
+@query("early_cbf_resalted", _INVARIANT)
+def early_cbf_resalted(s, d):
+    """Counting-filter rounds in which all records are encoded anew."""
+    people = W.parties(s, d, 5, 20)
+    order = blocking.party_order(W.masked(people), "size")
+    return invariants(clustering.cluster_early_resalted(lambda i: W.masked(people, salt=f"round {i}:"), order))
+
+
 @query("modes_agree", f"WITH {R.sql_parties(3)} SELECT count(*) AS records, CAST(0 AS BIGINT) AS differ FROM parties")
 def modes_agree(s, d):
     m = W.masked(W.parties(s, d, 3, 20))

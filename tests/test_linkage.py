@@ -47,6 +47,22 @@ def test_modes_agree_where_party_order_differs_from_the_numbering(spark, how, ma
     assert a == run(task_records=20)
 
 
+def test_rounds_with_new_encodings(spark):
+    people = W.parties(spark, SF, 4, 40).cache()
+    order, made = [3, 1, 4, 2], []
+
+    def remask(i, salt=str):
+        made.append(i)
+        return W.masked(people, "last", salt=salt(i))
+
+    of = lambda df: {r.rec_id: r.cluster_id for r in df.collect()}
+    fixed = of(clustering.cluster_early(W.masked(people, "last", salt="s"), s_t=0.6, ord=order, cluster_sim="cbf", mode="block"))
+    assert of(clustering.cluster_early_resalted(lambda i: remask(i, lambda _: "s"), order, 0.6)) == fixed
+    made.clear()
+    found = of(clustering.cluster_early_resalted(remask, order, 0.6))
+    assert made == [0, 1, 2, 3] and found.keys() == fixed.keys()
+
+
 def test_tuple_guard(spark):
     m = W.masked(W.parties(spark, SF, 3), "none")
     with pytest.raises(baselines.TooManyTuples):
