@@ -2,7 +2,7 @@
 
 A text's set is its distinct ``SHINGLE``-word shingles. Two texts link when 100 * overlap >= ``PERCENT`` * union.
 
-1. Equal sets are one class, met by a 128-bit digest of the set; the rest works on one representative a class.
+1. Equal sets are one class, met by their size and two sums over their shingles; the rest works on one representative a class.
 2. Cells. In any fixed order of all shingles, linked sets share one of the first n - ceil(PERCENT * n / 100) + 1 of
    either, so a set is routed to the cells of those. The order is by length in bytes, longest first, then by hash:
    long shingles have long words, which are rare, so few sets meet by chance. Cells with one member go (an
@@ -16,9 +16,13 @@ A text's set is its distinct ``SHINGLE``-word shingles. Two texts link when 100
    link between members of different groups is found and no copy is expanded into pairs.
 5. Components of the verified links, joined back to all documents.
 
-No step gathers an unbounded group: cells of more than ``CELL_ROWS`` members, and candidate groups of more than
-``GROUP_SHINGLES`` shingles, are cut into blocks by hash, and each pair of blocks is a task of its own.
-That is exact; its price, quadratic in the number of blocks, falls only on cells whose many members differ.
+No step gathers an unbounded group. Cells of more than ``CELL_ROWS`` members, and candidate groups of more than
+``GROUP_SHINGLES`` shingles, are first cut into bands of size, as linked sets differ by at most one band, and what is too
+large still is cut into blocks by hash, each pair of blocks being a group of its own. Both are exact; the price, quadratic in
+the number of blocks, falls only on cells with many different members of about one size. Verification gets shingle
+hashes, so what one task holds is bounded by ``2 * GROUP_SHINGLES`` hashes and the longest text.
+
+Shingles compare by a 64-bit hash of their words' hashes: equality is that of hashes, not of words.
 
 Defined cases: null and empty texts, and texts without words, have an empty set and link with nothing; texts of
 fewer than ``SHINGLE`` words are one shingle; ids name texts (rows that repeat an id repeat its text, and each is
@@ -28,6 +32,7 @@ an empty table.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -37,13 +42,13 @@ from pyspark.sql import functions as F
 
 from blindmatch.llm import storage
 from blindmatch.llm.components import connected_components
-from blindmatch.llm.words import Words, chunks, lower_ascii, mix, signed
+from blindmatch.llm.words import Words, chunks, lean, lower_ascii, mix, signed
 
 SHINGLE = 4
 PERCENT = 85
 GROUPS = 128
 CELL_ROWS = 16_384
-GROUP_SHINGLES = 8_000_000
+GROUP_SHINGLES = 1 << 20
 LEAF, FAN = 32, 16
 _FULL = np.uint8(255)
 
@@ -169,7 +174,7 @@ def _small_cells(starts: np.ndarray, sizes: np.ndarray, ids, counts, points, per
 
 
 def _cell_links(percent: int):
-    """Links that the bound allows, from rows in order of their cell: (cell, low block, high block, id, n, point)."""
+    """Links that the bound allows, from rows in order of their cell: (cell, band, low block, high block, id, n, point)."""
 
     def emit(keys, ids, counts, points) -> pa.RecordBatch:
         change = np.ones(len(ids), bool)
@@ -193,9 +198,9 @@ def _cell_links(percent: int):
         for batch in batches:
             if not batch.num_rows:
                 continue
-            keys = np.stack([batch.column(i).to_numpy() for i in range(3)], axis=1)
-            ids, counts = batch.column(3).to_numpy(), batch.column(4).to_numpy()
-            points = np.frombuffer(b"".join(batch.column(5).to_pylist()), np.uint8).reshape(-1, GROUPS)
+            keys = np.stack([batch.column(i).to_numpy() for i in range(4)], axis=1)
+            ids, counts = batch.column(4).to_numpy(), batch.column(5).to_numpy()
+            points = np.frombuffer(b"".join(batch.column(6).to_pylist()), np.uint8).reshape(-1, GROUPS)
             part = (keys, ids, counts, points)
             held = part if held is None else tuple(np.concatenate(x) for x in zip(held, part))
             last = np.flatnonzero((held[0] != held[0][-1]).any(axis=1))
@@ -206,7 +211,7 @@ def _cell_links(percent: int):
         if held is not None:
             yield emit(*held)
 
-    return rows
+    return lean(rows)
 
 
 def _spans(start: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -265,14 +270,25 @@ class ExactSets:
         return near[links(overlap, n, self.size[near], self.percent)]
 
 
-def _verified_links(percent: int, k: int):
-    def rows(table: pa.Table) -> pa.Table:
-        ids, sets = table["id"].to_numpy(), []
-        for column in table["text"].chunks:
-            for _, _, words in chunks(column):
+def _gram_rows(k: int):
+    """The sorted shingle hashes of each text, beside its component and id."""
+
+    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for low, high, words in chunks(batch.column(3)):
                 value, first = shingle_sets(words, k)
-                sets += [value[a:b] for a, b in zip(first, first[1:])]
+                offsets = pa.py_buffer((8 * first).astype(np.int32).tobytes())
+                grams = pa.BinaryArray.from_buffers(pa.binary(), high - low, [None, offsets, pa.py_buffer(value.tobytes())])
+                yield pa.RecordBatch.from_arrays([*(batch.column(i).slice(low, high - low) for i in range(3)), grams], ["component", "id", "n", "grams"])
+
+    return lean(rows)
+
+
+def _verified_links(percent: int):
+    def rows(table: pa.Table) -> pa.Table:
+        ids = table["id"].to_numpy()
         order = np.argsort(ids, kind="stable")
+        sets = [np.frombuffer(x.as_buffer(), np.uint64) for x in table["grams"]]
         u, v = _stars(ids[order], grow_groups(len(ids), ExactSets([sets[i] for i in order], percent).reach))
         return pa.table({"u": pa.array(u, pa.int64()), "v": pa.array(v, pa.int64())})
 
@@ -294,7 +310,7 @@ def _digests(k: int):
                     [batch.column(0).slice(low, high - low), pa.array(size.astype(np.int64)), pa.array(signed(d1.copy())), pa.array(signed(d2.copy()))], ["id", "n", "d1", "d2"]
                 )
 
-    return rows
+    return lean(rows)
 
 
 def _cell_rows(percent: int, k: int):
@@ -322,14 +338,30 @@ def _cell_rows(percent: int, k: int):
                     ["id", "cell", "point", "n"],
                 )
 
-    return rows
+    return lean(rows)
+
+
+def _bands(percent: int):
+    """The two band groups of a set of ``n`` shingles: a group has the sets of two neighbouring bands of size, and sets that link are in one of them."""
+    band = F.floor(F.log(F.col("n").cast("double")) / (1.01 * math.log(100 / percent))).cast("int")
+    return F.array(band - 1, band)
+
+
+def _cuts(rows: DataFrame, key: str, weight, hot: DataFrame, limit: int, percent: int) -> DataFrame:
+    """For each hot key: cuts, a map from band group to its number of blocks (as many entries as sizes have bands)."""
+    banded = rows.join(hot.select(key), key).select(key, weight.alias("_w"), F.explode(_bands(percent)).alias("_band"))
+    banded = banded.groupBy(key, "_band").agg(F.ceil(F.sum("_w") / limit).cast("int").alias("_blocks"))
+    return banded.groupBy(key).agg(F.map_from_entries(F.collect_list(F.struct("_band", "_blocks"))).alias("cuts"))
 
 
-def _in_blocks(df: DataFrame, blocks: str) -> DataFrame:
-    """A row for every pair of blocks that its own block is in: columns low, high."""
-    own = F.pmod(F.xxhash64("id"), F.col(blocks)).cast("int")
-    df = df.withColumn("_own", own).withColumn("_other", F.explode(F.sequence(F.lit(0), F.col(blocks).cast("int") - 1)))
-    return df.withColumn("low", F.least("_own", "_other")).withColumn("high", F.greatest("_own", "_other")).drop("_own", "_other", blocks)
+def _dealt(rows: DataFrame, percent: int) -> DataFrame:
+    """A row for every group that a row is compared in: adds band, low and high; rows with null ``cuts`` are in one."""
+    whole = F.array(F.struct(F.lit(-1).alias("band"), F.lit(1).alias("blocks")))
+    parts = F.transform(_bands(percent), lambda b: F.struct(b.alias("band"), F.element_at("cuts", b).alias("blocks")))
+    df = rows.withColumn("_part", F.explode(F.when(F.col("cuts").isNull(), whole).otherwise(parts))).drop("cuts")
+    df = df.withColumn("band", F.col("_part.band")).withColumn("_own", F.pmod(F.xxhash64("id"), F.col("_part.blocks")).cast("int"))
+    df = df.withColumn("_other", F.explode(F.sequence(F.lit(0), F.col("_part.blocks") - 1)))
+    return df.withColumn("low", F.least("_own", "_other")).withColumn("high", F.greatest("_own", "_other")).drop("_own", "_other", "_part")
 
 
 def link_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT, shingle: int = SHINGLE) -> DataFrame:
@@ -342,23 +374,26 @@ def link_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
 
     first_of_id = texts.where("id is not null and text is not null").join(reps, "id", "left_semi").dropDuplicates(["id"])
     cells = storage.written(first_of_id.mapInArrow(_cell_rows(percent, shingle), "id long, cell long, point binary, n long"), "cells")
-    routed = cells.where("cell is not null").select("cell", "id")
-    busy = routed.groupBy("cell").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
-    busy = busy.select("cell", F.ceil(F.col("m") / CELL_ROWS).alias("blocks"))
-    members = routed.join(busy, "cell")
-    points = cells.where("cell is null").select("id", "n", "point")
-    members = _in_blocks(members.join(points, "id"), "blocks")
+    routed = cells.where("cell is not null").select("cell", "id", "n")
+    busy = storage.written(routed.groupBy("cell").agg(F.count(F.lit(1)).alias("m")).where("m > 1"), "busy")
+    cuts = _cuts(routed, "cell", F.lit(1), busy.where(F.col("m") > CELL_ROWS), CELL_ROWS, percent)
+    points = cells.where("cell is null").select("id", "point")
+    members = routed.join(busy.select("cell"), "cell").join(cuts, "cell", "left")
+    members = _dealt(members.join(points, "id"), percent)
     parts = members.sparkSession.conf.get("spark.sql.shuffle.partitions")
-    members = members.select("cell", "low", "high", "id", "n", "point").repartition(int(parts), "cell", "low", "high").sortWithinPartitions("cell", "low", "high")
+    at = ["cell", "band", "low", "high"]
+    members = members.select(*at, "id", "n", "point").repartition(int(parts), *at).sortWithinPartitions(*at)
     may_link = members.mapInArrow(_cell_links(percent), "u long, v long")
     groups = storage.written(connected_components(may_link), "groups")
+    storage.forget(docs.sparkSession, busy)
 
     sizes = cells.where("cell is null").select("id", "n")
-    grouped = groups.join(sizes, groups["node"] == sizes["id"]).select("id", "component", "n")
-    blocks = grouped.groupBy("component").agg(F.ceil(F.sum("n") / GROUP_SHINGLES).alias("blocks"))
-    grouped = _in_blocks(grouped.join(blocks, "component").select("component", "id", "blocks"), "blocks")
-    asked = grouped.join(first_of_id, "id").select("component", "low", "high", "id", "text")
-    verified = asked.groupBy("component", "low", "high").applyInArrow(_verified_links(percent, shingle), "u long, v long")
+    grouped = storage.written(groups.join(sizes, groups["node"] == sizes["id"]).select("component", "id", "n"), "grouped")
+    large = grouped.groupBy("component").agg(F.sum("n").alias("w")).where(F.col("w") > GROUP_SHINGLES)
+    cuts = _cuts(grouped, "component", F.col("n"), large, GROUP_SHINGLES, percent)
+    asked = grouped.join(first_of_id, "id").select("component", "id", "n", "text").mapInArrow(_gram_rows(shingle), "component long, id long, n long, grams binary")
+    asked = _dealt(asked.join(cuts, "component", "left"), percent)
+    verified = asked.groupBy("component", "band", "low", "high").applyInArrow(_verified_links(percent), "u long, v long")
     found = connected_components(verified)
 
     named = classes.join(found, classes["rep"] == found["node"], "left").select("n", "d1", "d2", F.coalesce("component", "rep").alias("component_id"))
