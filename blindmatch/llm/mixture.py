@@ -13,7 +13,9 @@ documents up to there and a fraction of the one at the boundary. Positions are r
 
 Only a table with a row per source is ever ordered as a whole; it grows with the number of sources.
 
-Defined cases: a null or empty text has size 0 and is taken 0 times; a null source is a source of its
+The sources' own totals are windowed in one task: a row per source (and bucket count), not per document.
+
+Defined cases: very long texts are counted whole; a null or empty text has size 0 and is taken 0 times; a null source is a source of its
 own, last in order; rows that repeat an id count each for themselves; an empty table gives an empty one.
 """
 
@@ -66,6 +68,11 @@ def mix_sources(
     seed: int = 7,
 ) -> DataFrame:
     """One row per document: id, size, source_size, target, taken (words, repeats counted)."""
+    return _taken(docs, id_col, text_col, source_col, weights, factor, max_epochs, seed).select(F.col("id").alias(id_col), "size", "source_size", "target", "taken")
+
+
+def _taken(docs: DataFrame, id_col: str, text_col: str, source_col: str = "source", weights: Sequence[int] = WEIGHTS, factor: float = 1.5, max_epochs: int = 2, seed: int = 7) -> DataFrame:
+    """One row per document: id, source, size, source_size, target, taken."""
     order = F.md5(F.concat_ws(":", F.lit(str(seed)), F.col(id_col).cast("string")))
     sized = docs.select(F.col(id_col).alias("id"), F.col(source_col).alias("source"), word_count(F.col(text_col)).alias("size"), order.alias("ord"))
     # Written once: the texts are read and counted only here.
@@ -89,19 +96,25 @@ def mix_sources(
     rows = rows.withColumn("_whole", whole)
     stop = F.round(F.col("target") - F.col("_whole") * F.col("source_size")).cast("long")
     part = F.greatest(F.lit(0).cast("long"), F.least(F.col("size"), stop - F.col("_at")))
-    return rows.select(F.col("id").alias(id_col), "size", "source_size", "target", (F.col("_whole") * F.col("size") + part).alias("taken"))
+    return rows.select("id", "source", "size", "source_size", "target", (F.col("_whole") * F.col("size") + part).alias("taken"))
 
 
-def mixed_rows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **how) -> DataFrame:
+def mixed_rows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", **how) -> DataFrame:
     """The mix itself, with the columns of ``docs``: each document once per whole repetition, and a
-    fraction as its first words joined by single spaces. Ids have to be unique."""
-    columns = docs.columns
-    taken = mix_sources(docs, id_col, text_col, **how).where("taken > 0")
-    taken = taken.select(F.col(id_col).alias("_id"), F.floor(F.col("taken") / F.col("size")).cast("int").alias("_times"), (F.col("taken") % F.col("size")).cast("int").alias("_rest"))
-    rows = docs.join(taken, docs[id_col].eqNullSafe(taken["_id"]))
-    copies = F.when(F.col("_times") > 0, F.array_repeat(F.lit(0), F.col("_times"))).otherwise(F.array().cast("array<int>"))
-    copies = F.concat(copies, F.when(F.col("_rest") > 0, F.array(F.col("_rest"))).otherwise(F.array().cast("array<int>")))
-    rows = rows.withColumn("_words", F.explode(copies))
-    cut = F.concat_ws(" ", F.slice(F.regexp_extract_all(F.col(text_col), F.lit(WORD), F.lit(0)), F.lit(1), F.col("_words")))
-    rows = rows.withColumn(text_col, F.when(F.col("_words") > 0, cut).otherwise(F.col(text_col)))
-    return rows.select(*columns)
+    fraction as its first words joined by single spaces.
+
+    Rows of one source that repeat an id (null ids too) are mixed alike, each as often as the most taken of them, so ids should
+    be unique. Empty texts are taken 0 times, so they leave."""
+    taken = _taken(docs, id_col, text_col, source_col, **how).where("taken > 0")
+    taken = taken.select("id", "source", F.floor(F.col("taken") / F.col("size")).cast("int").alias("times"), (F.col("taken") % F.col("size")).cast("int").alias("rest"))
+    taken = taken.groupBy("id", "source").agg(F.max("times").alias("times"), F.max("rest").alias("rest"))
+    # The input's row is one value, so none of its columns can clash with the ones added here.
+    rows = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"))
+    rows = rows.join(taken, F.col("row")[id_col].eqNullSafe(F.col("id")) & F.col("row")[source_col].eqNullSafe(F.col("source"))).where(F.octet_length(F.col("row")[text_col]) > 0)
+    none = F.array().cast("array<int>")
+    copies = F.when(F.col("times") > 0, F.array_repeat(F.lit(0), F.col("times"))).otherwise(none)
+    copies = F.concat(copies, F.when(F.col("rest") > 0, F.array(F.col("rest"))).otherwise(none))
+    rows = rows.select("row", F.explode(copies).alias("n"))
+    text = F.col("row")[text_col]
+    cut = F.concat_ws(" ", F.slice(F.regexp_extract_all(text, F.lit(WORD), F.lit(0)), F.lit(1), F.col("n")))
+    return rows.select(*(F.when(F.col("n") > 0, cut).otherwise(text).alias(c) if c == text_col else F.col("row")[c].alias(c) for c in docs.columns))

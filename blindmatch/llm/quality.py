@@ -11,7 +11,7 @@ where it passes the base rules and scores at least ``THRESHOLD``; nothing is ran
 The counts are two arrays of ``BUCKETS`` numbers, summed in tasks before they are shuffled (buckets that a task has not
 seen are not sent); what reaches the driver has at most that fixed size.
 
-Defined cases: null and empty texts have no words, score 0 and fail the base rules; with no trusted
+Defined cases: very long texts are judged whole, one at a time; null and empty texts have no words, score 0 and fail the base rules; with no trusted
 document the ratio is 0 for every text and only the base rules decide; rows that repeat an id are each
 judged and counted; labels with null ids are ignored; extra columns are kept by :func:`keep_good`.
 """
@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blindmatch.llm.words import Words, chunks, mix
+from blindmatch.llm.words import Words, chunks, lean, mix
 
 BUCKETS = 1 << 20
 TRUSTED = 20_000
@@ -97,7 +97,7 @@ def fit_ratio(docs: DataFrame, trusted: DataFrame | None, id_col: str = "doc_id"
         seen = np.flatnonzero(counts[0])
         yield pa.RecordBatch.from_arrays([pa.array(seen), pa.array(counts[0][seen]), pa.array(counts[1][seen])], ["bucket", "raw", "good"])
 
-    counted = docs.select(F.col(id_col).cast("long"), F.col(text_col)).mapInArrow(rows, "bucket long, raw long, good long")
+    counted = docs.select(F.col(id_col).cast("long"), F.col(text_col)).mapInArrow(lean(rows), "bucket long, raw long, good long")
     table = counted.groupBy("bucket").agg(F.sum("raw").alias("raw"), F.sum("good").alias("good")).toArrow()
     raw, good = np.zeros(BUCKETS), np.zeros(BUCKETS)
     at = table["bucket"].to_numpy()
@@ -134,7 +134,7 @@ def judge(docs: DataFrame, trusted: DataFrame | None, id_col: str = "doc_id", te
                     ["id", *_COUNTS, "score", "base_failed", "kept", *part.schema.names[2:]],
                 )
 
-    return asked.mapInArrow(rows, f"id long, {verdict}{extra}").withColumnRenamed("id", id_col)
+    return asked.mapInArrow(lean(rows), f"id long, {verdict}{extra}").withColumnRenamed("id", id_col)
 
 
 def keep_good(docs: DataFrame, trusted: DataFrame | None, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD) -> DataFrame:
