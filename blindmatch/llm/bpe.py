@@ -3,11 +3,12 @@
 Encoding folds ranked merges with Spark higher-order functions: :func:`encode_words` takes a table of
 distinct words, spells each as an array of bytes and folds "join the adjacent pair of lowest rank" over it,
 with the ranks as one literal map (sharded by CRC-32 so that a lookup scans a few entries). The words are
-the ``DICTIONARY_WORDS`` most frequent of the whole corpus, of at most ``DICTIONARY_BYTES`` bytes each,
-which bounds the folded dictionary that tasks get at about 12 MB. Tasks then look every match of the
+the most frequent of the whole corpus, at most ``DICTIONARY_WORDS`` of at most ``DICTIONARY_BYTES`` bytes each,
+which bounds the folded dictionary that tasks get at about 12 MB; they are chosen by a threshold from a histogram of the
+counts, so no task sorts them. Tasks then look every match of the
 pattern up; a word outside the dictionary goes through the same merges in the task (with a heap where it is long)
-and is remembered there, up to ``MEMO_WORDS`` words. Folding every rare word in the JVM as well gives the
-same ids but costs about ten times the CPU of this step; see the README.
+and is remembered there, up to ``MEMO_WORDS`` words. Folding every distinct word in the JVM gives the
+same ids at many times the cost; the README has the measured figures.
 
 Decoding concatenates the pieces of the ids, in the JVM, from a literal array of pieces.
 
@@ -36,7 +37,8 @@ import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from blindmatch.llm.words import text_buffers
+from blindmatch.llm import storage
+from blindmatch.llm.words import lean, text_buffers
 
 SHARDS = 1 << 13
 DICTIONARY_WORDS = 1 << 17
@@ -252,16 +254,31 @@ def count_words(docs: DataFrame, text_col: str, classes) -> DataFrame:
         if seen:
             yield flush()
 
-    found = docs.select(F.col(text_col)).mapInArrow(rows, "word string, n long")
+    found = docs.select(F.col(text_col)).mapInArrow(lean(rows), "word string, n long")
     return found.where(F.octet_length("word") <= DICTIONARY_BYTES).groupBy("word").agg(F.sum("n").alias("n"))
 
 
+def most_frequent(counted: DataFrame, most: int) -> DataFrame:
+    """Words (word, n) that occur often: those above the lowest threshold that at most ``most`` words pass."""
+    level = F.floor(F.log2("n") * 16).cast("int")  # about 4 % apart; a level for each count up to 20
+    levels = sorted(counted.groupBy(level.alias("level")).agg(F.count(F.lit(1)).alias("words")).collect(), reverse=True)
+    total, least = 0, None
+    for r in levels:
+        total += r.words
+        if total > most:
+            break
+        least = r.level
+    return counted.where(level >= least) if least is not None else counted.limit(0)
+
+
 def encode_documents(docs: DataFrame, ranks: dict[bytes, int], id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: id, ids (array<int>), n_tokens, ids_sha256 (of little-endian 32-bit ids)."""
     context = docs.sparkSession.sparkContext
     classes = context.broadcast(code_point_classes())
-    frequent = count_words(docs, text_col, classes).orderBy(F.desc("n"), "word").limit(DICTIONARY_WORDS)
+    counted = storage.written(count_words(docs, text_col, classes), "words")
+    frequent = most_frequent(counted, DICTIONARY_WORDS)
     folded = encode_words(frequent.select("word"), ranks).toArrow()
+    storage.forget(docs.sparkSession, counted)
     known = context.broadcast({w: np.array(i, "<u4").tobytes() for w, i in zip(folded["word"].to_pylist(), folded["ids"].to_pylist())})
     merges = context.broadcast(ranks)
     schema = pa.schema([("id", pa.int64()), ("ids", pa.list_(pa.int32())), ("n_tokens", pa.int64()), ("ids_sha256", pa.string())])
@@ -288,7 +305,7 @@ def encode_documents(docs: DataFrame, ranks: dict[bytes, int], id_col: str = "do
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(low, len(parts)), lists, pa.array(sizes, pa.int64()), pa.array(digests)], schema=schema)
                 low += len(parts)
 
-    out = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col)).mapInArrow(rows, "id long, ids array<int>, n_tokens long, ids_sha256 string")
+    out = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col)).mapInArrow(lean(rows), "id long, ids array<int>, n_tokens long, ids_sha256 string")
     return out.withColumnRenamed("id", id_col)
 
 
