@@ -12,15 +12,18 @@ A text's set is its distinct ``SHINGLE``-word shingles. Two texts link when 100
    bounds their overlap, and the same sum with a node's maxima bounds that with every point below it, which prunes
    the search, as do the smallest and largest set below a node. Counts are bytes; two that are both full say nothing. The search grows groups: what a member reaches is taken out, so a cell with m similar members costs
    about m steps and gives m - 1 links, not all pairs.
-4. Candidate groups (components of those links) are verified with the exact sets, again growing groups, so that every
+4. Coarse counts say little of long sets, so candidate groups (components of those links) with sets of more than ``FULL_LOAD``
+   shingles a group are searched again by R-trees of finer counts, ``FULL_LOAD`` shingles a group or fewer whatever the length;
+   counts of twice as many groups fold into those of a shorter set.
+5. Candidate groups are verified with the exact sets, again growing groups, so that every
    link between members of different groups is found and no copy is expanded into pairs.
-5. Components of the verified links, joined back to all documents.
+6. Components of the verified links, joined back to all documents.
 
 No step gathers an unbounded group. Cells of more than ``CELL_ROWS`` members, and candidate groups of more than
 ``GROUP_SHINGLES`` shingles, are first cut into bands of size, as linked sets differ by at most one band, and what is too
 large still is cut into blocks by hash, each pair of blocks being a group of its own. Both are exact; the price, quadratic in
-the number of blocks, falls only on cells with many different members of about one size. Verification gets shingle
-hashes, so what one task holds is bounded by ``2 * GROUP_SHINGLES`` hashes and the longest text.
+the number of blocks, falls only on cells with many different members of about one size. What verification holds at once is bounded
+by ``2 * GROUP_SHINGLES`` shingles and the longest text.
 
 Shingles compare by a 64-bit hash of their words' hashes: equality is that of hashes, not of words.
 
@@ -49,6 +52,9 @@ PERCENT = 85
 GROUPS = 128
 CELL_ROWS = 16_384
 GROUP_SHINGLES = 1 << 20
+#: Shingles a group in the finer counts, and their bytes that one group of a search has.
+FULL_LOAD = 16
+FINE_BYTES = 4 << 20
 LEAF, FAN = 32, 16
 _FULL = np.uint8(255)
 
@@ -270,25 +276,53 @@ class ExactSets:
         return near[links(overlap, n, self.size[near], self.percent)]
 
 
-def _gram_rows(k: int):
-    """The sorted shingle hashes of each text, beside its component and id."""
+def fine_level(size: np.ndarray) -> np.ndarray:
+    """How often the number of groups is doubled for sets of these sizes."""
+    load = np.maximum(size, 1) / (FULL_LOAD * GROUPS)
+    return np.ceil(np.log2(np.maximum(load, 1))).astype(np.int64)
 
-    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for low, high, words in chunks(batch.column(3)):
-                value, first = shingle_sets(words, k)
-                offsets = pa.py_buffer((8 * first).astype(np.int32).tobytes())
-                grams = pa.BinaryArray.from_buffers(pa.binary(), high - low, [None, offsets, pa.py_buffer(value.tobytes())])
-                yield pa.RecordBatch.from_arrays([*(batch.column(i).slice(low, high - low) for i in range(3)), grams], ["component", "id", "n", "grams"])
 
-    return lean(rows)
+def folded(point: np.ndarray, level: int) -> np.ndarray:
+    """Counts of more groups as counts of ``GROUPS << level``; what is full stays full."""
+    return np.minimum(point.reshape(-1, GROUPS << level).sum(axis=0, dtype=np.int64), 255).astype(np.uint8)
 
 
-def _verified_links(percent: int):
+def _fine_links(percent: int):
+    """Links that finer counts allow within one candidate group: component, band, low, high, id, n, fine."""
+
     def rows(table: pa.Table) -> pa.Table:
-        ids = table["id"].to_numpy()
+        order = np.argsort(table["id"].to_numpy(), kind="stable")
+        ids, size = table["id"].to_numpy()[order], table["n"].to_numpy()[order]
+        points = [np.frombuffer(x.as_buffer(), np.uint8) for x in table["fine"]]
+        points = [points[i] for i in order]
+        level = np.array([(len(p) // GROUPS).bit_length() - 1 for p in points])
+        trees = []
+        # Sets that link are of one level or of neighbouring ones, and meet in the tree of the lower.
+        for j in sorted(set(level.tolist()) | {x - 1 for x in level.tolist() if x}):
+            own = np.flatnonzero((level == j) | (level == j + 1))
+            tree = RTree(np.stack([folded(points[i], j) for i in own]), size[own])
+            who, place = own[tree.order], np.full(len(ids), -1)
+            place[who] = np.arange(len(who))
+            trees.append((tree, who, place))
+
+        def reach(i: int, alive: np.ndarray) -> np.ndarray:
+            found = [who[tree.search(tree.points[place[i]], size[i], alive[who], percent)] for tree, who, place in trees if place[i] >= 0]
+            return np.unique(np.concatenate(found))
+
+        u, v = _stars(ids, grow_groups(len(ids), reach))
+        return pa.table({"u": pa.array(u, pa.int64()), "v": pa.array(v, pa.int64())})
+
+    return rows
+
+
+def _verified_links(percent: int, k: int):
+    def rows(table: pa.Table) -> pa.Table:
+        ids, sets = table["id"].to_numpy(), []
+        for column in table["text"].chunks:
+            for _, _, words in chunks(column):
+                value, first = shingle_sets(words, k)
+                sets += [value[a:b] for a, b in zip(first, first[1:])]
         order = np.argsort(ids, kind="stable")
-        sets = [np.frombuffer(x.as_buffer(), np.uint64) for x in table["grams"]]
         u, v = _stars(ids[order], grow_groups(len(ids), ExactSets([sets[i] for i in order], percent).reach))
         return pa.table({"u": pa.array(u, pa.int64()), "v": pa.array(v, pa.int64())})
 
@@ -314,7 +348,7 @@ def _digests(k: int):
 
 
 def _cell_rows(percent: int, k: int):
-    """Per representative: one row with its point (cell null), and one row for each of its cells."""
+    """Per representative: one row with its point and finer point (cell null), and one row for each of its cells."""
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -328,14 +362,19 @@ def _cell_rows(percent: int, k: int):
                 counts = np.bincount(owner * GROUPS + (mix(value) % np.uint64(GROUPS)).astype(np.int64), minlength=(high - low) * GROUPS)
                 points = np.minimum(counts, 255).astype(np.uint8).tobytes()
                 n = int(cell.sum())
+                fine = []
+                for i, level in enumerate(fine_level(size).tolist()):
+                    own = (mix(value[first[i] : first[i + 1]]) % np.uint64(GROUPS << level)).astype(np.int64) if level else None
+                    fine.append(None if own is None else np.minimum(np.bincount(own, minlength=GROUPS << level), 255).astype(np.uint8).tobytes())
                 yield pa.RecordBatch.from_arrays(
                     [
                         pa.array(np.concatenate([ids[low:high], ids[low:high][owner[cell]]])),
                         pa.array(np.concatenate([np.zeros(high - low, np.int64), signed(value[cell])]), mask=np.arange(high - low + n) < high - low),
                         pa.array([points[i * GROUPS : (i + 1) * GROUPS] for i in range(high - low)] + [None] * n, pa.binary()),
                         pa.array(np.concatenate([size, size[owner[cell]]]).astype(np.int64)),
+                        pa.array(fine + [None] * n, pa.binary()),
                     ],
-                    ["id", "cell", "point", "n"],
+                    ["id", "cell", "point", "n", "fine"],
                 )
 
     return lean(rows)
@@ -347,11 +386,15 @@ def _bands(percent: int):
     return F.array(band - 1, band)
 
 
-def _cuts(rows: DataFrame, key: str, weight, hot: DataFrame, limit: int, percent: int) -> DataFrame:
-    """For each hot key: cuts, a map from band group to its number of blocks (as many entries as sizes have bands)."""
-    banded = rows.join(hot.select(key), key).select(key, weight.alias("_w"), F.explode(_bands(percent)).alias("_band"))
+def _with_cuts(rows: DataFrame, key: str, weight, hot: DataFrame, limit: int, percent: int) -> DataFrame:
+    """Adds cuts: null, but for the keys of ``hot`` a map from band group to its number of blocks (as many entries as sizes have bands)."""
+    hot = storage.written(hot.select(key), "hot")
+    if hot.isEmpty():
+        return rows.withColumn("cuts", F.lit(None).cast("map<int,int>"))
+    banded = rows.join(hot, key).select(key, weight.alias("_w"), F.explode(_bands(percent)).alias("_band"))
     banded = banded.groupBy(key, "_band").agg(F.ceil(F.sum("_w") / limit).cast("int").alias("_blocks"))
-    return banded.groupBy(key).agg(F.map_from_entries(F.collect_list(F.struct("_band", "_blocks"))).alias("cuts"))
+    cuts = banded.groupBy(key).agg(F.map_from_entries(F.collect_list(F.struct("_band", "_blocks"))).alias("cuts"))
+    return rows.join(cuts, key, "left")
 
 
 def _dealt(rows: DataFrame, percent: int) -> DataFrame:
@@ -373,27 +416,38 @@ def link_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     reps = classes.select(F.col("rep").alias("id"))
 
     first_of_id = texts.where("id is not null and text is not null").join(reps, "id", "left_semi").dropDuplicates(["id"])
-    cells = storage.written(first_of_id.mapInArrow(_cell_rows(percent, shingle), "id long, cell long, point binary, n long"), "cells")
+    cells = storage.written(first_of_id.mapInArrow(_cell_rows(percent, shingle), "id long, cell long, point binary, n long, fine binary"), "cells")
     routed = cells.where("cell is not null").select("cell", "id", "n")
     busy = storage.written(routed.groupBy("cell").agg(F.count(F.lit(1)).alias("m")).where("m > 1"), "busy")
-    cuts = _cuts(routed, "cell", F.lit(1), busy.where(F.col("m") > CELL_ROWS), CELL_ROWS, percent)
     points = cells.where("cell is null").select("id", "point")
-    members = routed.join(busy.select("cell"), "cell").join(cuts, "cell", "left")
+    hot = busy.where(F.col("m") > CELL_ROWS)
+    members = _with_cuts(routed.join(busy.select("cell"), "cell"), "cell", F.lit(1), hot, CELL_ROWS, percent)
     members = _dealt(members.join(points, "id"), percent)
     parts = members.sparkSession.conf.get("spark.sql.shuffle.partitions")
     at = ["cell", "band", "low", "high"]
     members = members.select(*at, "id", "n", "point").repartition(int(parts), *at).sortWithinPartitions(*at)
     may_link = members.mapInArrow(_cell_links(percent), "u long, v long")
     groups = storage.written(connected_components(may_link), "groups")
-    storage.forget(docs.sparkSession, busy)
-
-    sizes = cells.where("cell is null").select("id", "n")
-    grouped = storage.written(groups.join(sizes, groups["node"] == sizes["id"]).select("component", "id", "n"), "grouped")
+    points = cells.where("cell is null").select("id", "n", F.coalesce("fine", "point").alias("fine"))
+    sized = groups.join(points.select("id", "n"), groups["node"] == F.col("id")).select("component", "id", "n")
+    grouped = storage.written(sized, "grouped")
+    # Groups with sets that are long for the coarse counts are cut by the finer ones.
+    long = grouped.groupBy("component").agg(F.max("n").alias("top"), F.sum("n").alias("w")).where(F.col("top") > FULL_LOAD * GROUPS)
+    long = storage.written(long, "long")
+    if not long.isEmpty():
+        weight, large = F.col("n") / (FULL_LOAD / 2), long.where(F.col("w") / (FULL_LOAD / 2) > FINE_BYTES)
+        asked = _dealt(_with_cuts(grouped.join(long.select("component"), "component"), "component", weight, large, FINE_BYTES, percent), percent)
+        asked = asked.select(*at[1:], "component", "id").join(points, "id").groupBy("component", *at[1:])
+        finer = connected_components(asked.applyInArrow(_fine_links(percent), "u long, v long"))
+        finer = finer.join(points.select("id", "n"), finer["node"] == F.col("id")).select("component", "id", "n")
+        before, grouped = grouped, storage.written(grouped.join(long, "component", "left_anti").union(finer), "grouped")
+        storage.forget(docs.sparkSession, before)
+    for table in (cells, busy, groups, long):
+        storage.forget(docs.sparkSession, table)
     large = grouped.groupBy("component").agg(F.sum("n").alias("w")).where(F.col("w") > GROUP_SHINGLES)
-    cuts = _cuts(grouped, "component", F.col("n"), large, GROUP_SHINGLES, percent)
-    asked = grouped.join(first_of_id, "id").select("component", "id", "n", "text").mapInArrow(_gram_rows(shingle), "component long, id long, n long, grams binary")
-    asked = _dealt(asked.join(cuts, "component", "left"), percent)
-    verified = asked.groupBy("component", "band", "low", "high").applyInArrow(_verified_links(percent), "u long, v long")
+    grouped = _dealt(_with_cuts(grouped, "component", F.col("n"), large, GROUP_SHINGLES, percent), percent)
+    asked = grouped.join(first_of_id, "id").select("component", "band", "low", "high", "id", "text")
+    verified = asked.groupBy("component", "band", "low", "high").applyInArrow(_verified_links(percent, shingle), "u long, v long")
     found = connected_components(verified)
 
     named = classes.join(found, classes["rep"] == found["node"], "left").select("n", "d1", "d2", F.coalesce("component", "rep").alias("component_id"))

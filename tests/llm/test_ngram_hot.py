@@ -33,3 +33,19 @@ def test_hot_cells_and_groups_lose_no_link(spark, monkeypatch):
     monkeypatch.setattr(ngram_join, "GROUP_SHINGLES", 900)
     got = {r.doc_id: r for r in ngram_join.link_documents(frame(spark, texts)).collect()}
     assert [(got[i].n_shingles, got[i].component_id) for i in range(len(texts))] == [(len(s), r) for s, r in zip(sets, roots)]
+
+
+def test_finer_counts_keep_all_links(spark, monkeypatch):
+    rng = random.Random(5)
+    texts = []
+    for size in (300, 340, 500, 900, 1000, 2400):
+        base = [f"w{rng.randrange(10**6)}" for _ in range(size)]
+        for cut in (0, 3, 5, 9, 20, 40):
+            texts.append(" ".join(base[: size - cut * size // 200]))
+        texts += [" ".join(f"w{rng.randrange(10**6)}" for _ in range(size)) + " averylongpassagewordsharedbyall anotherverylongwordsharedbyall andathirdverylongone andafourthverylongone" for _ in range(4)]
+    monkeypatch.setattr(ngram_join, "FULL_LOAD", 1)
+    sets, roots = jaccard_components(texts, 4, 85)
+    for most in (ngram_join.FINE_BYTES, 700):
+        monkeypatch.setattr(ngram_join, "FINE_BYTES", most)
+        got = {r.doc_id: r for r in ngram_join.link_documents(frame(spark, texts)).collect()}
+        assert [(got[i].n_shingles, got[i].component_id) for i in range(len(texts))] == [(len(s), r) for s, r in zip(sets, roots)]
