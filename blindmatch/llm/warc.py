@@ -8,20 +8,22 @@ not gathered anywhere.
 
 Archives are written by Spark's text writer, whose separator is the end of a WARC record, so that any
 file system of the cluster and its commit protocol are used; each part is one gzipped WARC/1.1 file with
-fresh headers. They are read back as binary files and parsed by Content-Length; revisits are then resolved by a
-join of their WARC-Refers-To with the originals' record ids.
+fresh headers. A file holds records of one class of payload size, and so many that it stays far below what one value may have.
+They are read back as binary files, decompressed piece by piece and parsed by Content-Length; revisits are then resolved by a
+join of their WARC-Refers-To with the originals' record ids, which are made of page id and payload digest.
 
 Defined cases: a null html is an empty payload; empty and small payloads are all responses; a null or empty URL is
-written as ``about:blank`` and line ends in URLs are percent-encoded; rows that repeat a page id with one payload
-are all responses (none has a smaller id); rows with a null id are responses, come back with a null id and are never
-referred to; extra columns are not read; an empty table gives an empty archive and an empty result.
+written as ``about:blank`` and line ends in URLs are percent-encoded; a page id that repeats with other payloads has a record for each,
+decided by (id, payload); rows that repeat a page id with one payload are all responses (none has a smaller id) and share a record
+id; rows with a null id are responses, come back with a null id and are never referred to; very long payloads have
+files of their own; extra columns are not read; an empty table gives an empty archive and an empty result.
 """
 
 from __future__ import annotations
 
-import gzip
 import hashlib
-from collections.abc import Iterator
+import zlib
+from collections.abc import Iterable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -31,14 +33,15 @@ from blindmatch.llm import storage
 
 MIN_PAYLOAD = 100
 RECORD_END = "\r\n\r\n"
-#: Records of one archive file at most; a file is read back as one value.
-RECORDS_PER_FILE = 5_000
+#: Payload bytes up to which so many records make a file; a file is read back as one (compressed) value.
+FILE_CLASSES = ((64 << 10, 5_000), (4 << 20, 200), (1 << 31, 1))
+_PIECE = 1 << 20
 REVISIT_PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 _HTTP_HEAD = "HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\n\r\n"
 
 
-def _record_id(page: Column) -> Column:
-    d = F.md5(F.concat(F.lit("page:"), F.coalesce(page.cast("string"), F.lit(""))))
+def _record_id(page: Column, digest: Column) -> Column:
+    d = F.md5(F.concat_ws(":", F.lit("page"), F.coalesce(page.cast("string"), F.lit("")), digest))
     parts = [F.substring(d, a, n) for a, n in ((1, 8), (9, 4), (13, 4), (17, 4), (21, 12))]
     return F.concat(F.lit("<urn:uuid:"), F.concat_ws("-", *parts), F.lit(">"))
 
@@ -55,11 +58,10 @@ def classify(pages: DataFrame, id_col: str = "page_id", payload_col: str = "html
 
 def write_archive(pages: DataFrame, path: str, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html", date: str = "2024-01-01T00:00:00Z", min_payload: int = MIN_PAYLOAD) -> None:
     """Write WARC files to the folder ``path``: responses with payloads, and revisits without."""
-    verdicts = classify(pages, id_col, payload_col, min_payload).where("refers_to is not null").select(F.col("id").alias("_id"), "refers_to").distinct()
-    revisits = verdicts.alias("v")
     payload = F.coalesce(F.col(payload_col), F.lit(""))
-    rows = pages.select(F.col(id_col).alias("id"), F.col(url_col).alias("url"), payload.alias("payload"))
-    rows = rows.join(revisits, rows["id"] == F.col("v._id"), "left")
+    rows = pages.select(F.col(id_col).alias("id"), F.col(url_col).alias("url"), payload.alias("payload")).withColumn("digest", F.sha2("payload", 256))
+    verdicts = classify(pages, id_col, payload_col, min_payload).where("refers_to is not null").select("id", "digest", "refers_to").distinct()
+    verdicts = storage.written(verdicts, "revisits")
     url = F.regexp_replace(F.regexp_replace(F.col("url"), "\r", "%0D"), "\n", "%0A")
     url = F.when(F.length(url) > 0, url).otherwise(F.lit("about:blank"))
     revisit = F.col("refers_to").isNotNull()
@@ -67,35 +69,68 @@ def write_archive(pages: DataFrame, path: str, id_col: str = "page_id", url_col:
     fields = [
         F.lit("WARC/1.1"),
         F.concat(F.lit("WARC-Type: "), F.when(revisit, F.lit("revisit")).otherwise(F.lit("response"))),
-        F.concat(F.lit("WARC-Record-ID: "), _record_id(F.col("id"))),
+        F.concat(F.lit("WARC-Record-ID: "), _record_id(F.col("id"), F.col("digest"))),
         F.concat(F.lit("WARC-Date: "), F.lit(date)),
         F.concat(F.lit("WARC-Target-URI: "), url),
-        F.concat(F.lit("WARC-Payload-Digest: sha256:"), F.sha2("payload", 256)),
+        F.concat(F.lit("WARC-Payload-Digest: sha256:"), F.col("digest")),
         F.concat(F.lit("X-Page-Id: "), F.col("id").cast("string")),
-        F.when(revisit, F.concat(F.lit("WARC-Refers-To: "), _record_id(F.col("refers_to")))),
+        F.when(revisit, F.concat(F.lit("WARC-Refers-To: "), _record_id(F.col("refers_to"), F.col("digest")))),
         F.when(revisit, F.lit("WARC-Profile: " + REVISIT_PROFILE)),
         F.lit("Content-Type: application/http; msgtype=response"),
         F.concat(F.lit("Content-Length: "), F.octet_length(block).cast("string")),
     ]
     record = F.concat(F.concat_ws("\r\n", *fields), F.lit("\r\n\r\n"), block)
-    rows.select(record.alias("value")).write.option("lineSep", RECORD_END).option("maxRecordsPerFile", RECORDS_PER_FILE).option("compression", "gzip").text(path)
-
-
-def parse_records(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
-    """Header fields and block of each record of one file."""
-    at = 0
-    while at < len(data):
-        stop = data.index(b"\r\n\r\n", at)
-        version, *lines = data[at:stop].decode("utf-8").split("\r\n")
+    low = -1
+    for high, most in FILE_CLASSES:
+        size = F.octet_length("payload")
+        part = rows.where((size > low) & (size <= high)).join(verdicts, ["id", "digest"], "left").select(record.alias("value"))
+        part.write.mode("append").option("lineSep", RECORD_END).option("maxRecordsPerFile", most).option("compression", "gzip").text(path)
+        low = high
+    storage.forget(pages.sparkSession, verdicts)
+
+
+def unzipped(data: bytes) -> Iterator[bytes]:
+    """A gzip file of any number of members, in pieces."""
+    member = zlib.decompressobj(31)
+    for at in range(0, len(data), _PIECE):
+        piece = data[at : at + _PIECE]
+        while piece:
+            out = member.decompress(piece, 4 * _PIECE)
+            if out:
+                yield out
+            piece = member.unconsumed_tail
+            if member.eof:
+                piece, member = member.unused_data, zlib.decompressobj(31)
+
+
+def parse_records(pieces: Iterable[bytes]) -> Iterator[tuple[dict[str, str], bytes]]:
+    """Header fields and block of each record of one file, of which a record and a piece are held at once."""
+    held, source, at = bytearray(), iter(pieces), 0
+
+    def until(n: int) -> bool:
+        """Whether ``n`` bytes are held."""
+        while len(held) < n:
+            piece = next(source, None)
+            if piece is None:
+                return False
+            held.extend(piece)
+        return True
+
+    while until(1):
+        while (stop := held.find(b"\r\n\r\n")) < 0:
+            if not until(len(held) + 1):
+                raise ValueError(f"record at byte {at} has no end of its header")
+        version, *lines = held[:stop].decode("utf-8").split("\r\n")
         if not version.startswith("WARC/"):
             raise ValueError(f"no WARC record at byte {at}")
         fields = dict(line.split(": ", 1) for line in lines)
         begin = stop + 4
         end = begin + int(fields["Content-Length"])
-        yield fields, data[begin:end]
-        if data[end : end + 4] != b"\r\n\r\n":
+        if not until(end + 4) or held[end : end + 4] != b"\r\n\r\n":
             raise ValueError(f"record at byte {at} does not end where its length says")
-        at = end + 4
+        yield fields, bytes(held[begin:end])
+        del held[: end + 4]
+        at += end + 4
 
 
 def read_archive(spark: SparkSession, path: str) -> DataFrame:
@@ -109,7 +144,7 @@ def read_archive(spark: SparkSession, path: str) -> DataFrame:
         for batch in batches:
             for blob in batch.column(0):
                 out, size = [], 0
-                for fields, block in parse_records(gzip.decompress(blob.as_py())):
+                for fields, block in parse_records(unzipped(blob.as_py())):
                     payload = None
                     if fields["WARC-Type"] == "response":
                         payload = block[block.index(b"\r\n\r\n") + 4 :]

@@ -5,7 +5,7 @@ import hashlib
 import pytest
 from pyspark.sql import functions as F
 
-from blindmatch.llm import exact_dedup, mixture
+from blindmatch.llm import exact_dedup, html_wrappers, mixture, ngram_join, quality, secret_scan, substring_dedup, url_filter, warc
 from tests.llm.test_operators import WORD
 
 
@@ -59,3 +59,60 @@ def test_water_filling_by_repeated_clamping(spark, sizes):
     frame = spark.createDataFrame(list(sizes.items()), "source string, source_size long")
     got = {r.source: r.target for r in mixture.water_fill(frame).collect()}
     assert got == pytest.approx(full | share)
+
+
+def test_warc_keeps_every_payload_of_a_repeated_id(spark, monkeypatch):
+    a, b, c = "a" * 200, "b" * 300, "é" * 5000
+    rows = [(1, "u", a, 1), (7, "u", a, 1), (7, "v", b, 1), (8, "w", b, 1), (9, "x", c, 1), (9, "x", c, 1), (10, "x", c, 1), (None, "n", a, 1), (None, None, None, 1)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string, digest int")
+    monkeypatch.setattr(warc, "FILE_CLASSES", ((250, 2), (1000, 1), (1 << 31, 1)))
+    got = sorted((str(r.page_id), r.payload_digest, r.payload_bytes, r.record_type, str(r.refers_to)) for r in warc.round_trip(pages).collect())
+    want = []
+    for i, _, h, _ in rows:
+        h = (h or "").encode()
+        low = min((j for j, _, g, _ in rows if (g or "").encode() == h and j is not None), default=None)
+        again = i is not None and len(h) >= 100 and low < i
+        want.append((str(i), hashlib.sha256(h).hexdigest(), len(h), "revisit" if again else "response", str(low) if again else "None"))
+    assert got == sorted(want)
+    assert warc.round_trip(pages.limit(0)).count() == 0
+
+
+def test_archives_are_read_in_pieces(monkeypatch):
+    import gzip
+
+    monkeypatch.setattr(warc, "_PIECE", 7)
+    record = lambda body: b"WARC/1.1\r\nContent-Length: %d\r\n\r\n%s\r\n\r\n" % (len(body), body)
+    bodies = [b"", b"x" * 50, b"WARC/1.1\r\n\r\n" * 3]
+    data = gzip.compress(record(bodies[0]) + record(bodies[1])) + gzip.compress(record(bodies[2]))
+    assert [b for _, b in warc.parse_records(warc.unzipped(data))] == bodies
+    with pytest.raises(ValueError):
+        list(warc.parse_records([record(b"abc")[:-2]]))
+
+
+@pytest.mark.parametrize(
+    "run",
+    [
+        lambda s, d: url_filter.judge_urls(s.createDataFrame([], "page_id long, url string, fetch_day int"), s.createDataFrame([], "list_key string, day int, action string")),
+        lambda s, d: secret_scan.scan(d),
+        lambda s, d: html_wrappers.extract(s.createDataFrame([], "page_id long, url string, html string")),
+        lambda s, d: quality.judge(d, None),
+        lambda s, d: substring_dedup.remove_repeats(d),
+        lambda s, d: ngram_join.keep_one_each(d),
+    ],
+)
+def test_empty_tables(spark, run):
+    assert run(spark, spark.createDataFrame([], "doc_id long, text string, source string")).count() == 0
+
+
+def test_null_and_repeated_ids(spark):
+    """Every row comes back, rows with a null id without taking part."""
+    long = " ".join(f"w{i}" for i in range(60))
+    rows = [(None, long, "a"), (None, None, "a"), (1, long, "a"), (2, long, None), (2, long, None), (3, long + " tail", "b"), (4, "password = hunter2hunter2", "b")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    ids = sorted(str(r[0]) for r in rows)
+    for out in (ngram_join.link_documents(docs), substring_dedup.remove_repeats(docs), secret_scan.scan(docs), quality.judge(docs, docs), mixture.mix_sources(docs), exact_dedup.duplicate_groups(docs)):
+        assert sorted(str(r.doc_id) for r in out.collect()) == ids
+    links = {(r.doc_id, r.component_id) for r in ngram_join.link_documents(docs).collect()}
+    assert {(1, 1), (2, 1), (3, 1), (None, None)} <= links
+    removed = {(r.doc_id, r.n_removed) for r in substring_dedup.remove_repeats(docs).collect()}
+    assert {(1, 0), (2, 60), (3, 60), (None, 0)} <= removed
