@@ -38,13 +38,13 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from blindmatch.llm import storage
-from blindmatch.llm.words import lean, text_buffers
+from blindmatch.llm.words import give_back, lean, text_buffers
 
 SHARDS = 1 << 13
 DICTIONARY_WORDS = 1 << 17
 DICTIONARY_BYTES = 48
-MEMO_WORDS = 400_000
-CHUNK_CHARS = 2 << 20
+MEMO_WORDS = 200_000
+CHUNK_CHARS = 1 << 20
 #: Contractions that the split pattern takes before anything else.
 CONTRACTIONS = ("'s", "'t", "'re", "'ve", "'m", "'ll", "'d")
 _NONE = 2**31 - 1
@@ -277,14 +277,26 @@ def encode_documents(docs: DataFrame, ranks: dict[bytes, int], id_col: str = "do
     classes = context.broadcast(code_point_classes())
     counted = storage.written(count_words(docs, text_col, classes), "words")
     frequent = most_frequent(counted, DICTIONARY_WORDS)
-    folded = encode_words(frequent.select("word"), ranks).toArrow()
+    folded = encode_words(frequent.select("word"), ranks).toArrow().combine_chunks()
     storage.forget(docs.sparkSession, counted)
-    known = context.broadcast({w: np.array(i, "<u4").tobytes() for w, i in zip(folded["word"].to_pylist(), folded["ids"].to_pylist())})
+    # Arrow buffers, not objects: each worker makes its own table of them.
+    stream = pa.BufferOutputStream()
+    with pa.ipc.new_stream(stream, folded.schema) as out:
+        out.write_table(folded)
+    known = context.broadcast(stream.getvalue().to_pybytes())
     merges = context.broadcast(ranks)
+    del folded, stream
+    give_back()
+
+    def folded_words() -> dict[str, bytes]:
+        with pa.ipc.open_stream(known.value) as stream:
+            table = stream.read_all()
+        return {w: np.array(i, "<u4").tobytes() for w, i in zip(table["word"].to_pylist(), table["ids"].to_pylist())}
+
     schema = pa.schema([("id", pa.int64()), ("ids", pa.list_(pa.int32())), ("n_tokens", pa.int64()), ("ids_sha256", pa.string())])
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table, rare, order = known.value, {}, merges.value
+        table, rare, order = folded_words(), {}, merges.value
         for batch in batches:
             low = 0
             for texts in _text_chunks(batch.column(1)):

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blindmatch.llm.words import Words, chunks, lean, mix
+from blindmatch.llm.words import Words, chunks, give_back, lean, mix
 
 BUCKETS = 1 << 20
 TRUSTED = 20_000
@@ -103,6 +103,8 @@ def fit_ratio(docs: DataFrame, trusted: DataFrame | None, id_col: str = "doc_id"
     at = table["bucket"].to_numpy()
     raw[at] = table["raw"].to_numpy()
     good[at] = table["good"].to_numpy()
+    del table, at
+    give_back()
     expected = raw * (good.sum() / max(raw.sum(), 1))
     return np.log((good + PRIOR) / (expected + PRIOR))
 

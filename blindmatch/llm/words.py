@@ -123,18 +123,23 @@ def lower_ascii(data: np.ndarray) -> np.ndarray:
     return out
 
 
+def give_back() -> None:
+    """Freed memory of this process goes back to the system."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
 def lean(rows: Callable) -> Callable:
-    """``rows`` for mapInArrow; when its input ends, freed memory goes back to the system, as workers live on between tasks."""
+    """``rows`` for mapInArrow; when its input ends, memory is given back, as workers live on between tasks."""
 
     @functools.wraps(rows)
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         try:
             yield from rows(batches)
         finally:
-            pa.default_memory_pool().release_unused()
-            trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
-            if trim is not None:
-                trim(0)
+            give_back()
 
     return run
 
