@@ -11,24 +11,20 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from blindmatch.operators.components import components
 from blindmatch.operators.kernels import _hungarian, best_mapping, greedy_mapping
 from blindmatch.plans.lineage import cut
 
 EDGE = "block string, x long, y long, weight double"
 
 
-def edge_parts(edges: DataFrame, most_rounds: int = 50) -> DataFrame:
-    """Adds part: the smallest x of the edge's connected part. Labels move over both sides until none changes."""
-    found = cut(edges.withColumn("part", F.col("x")), "parts")
-    for _ in range(most_rounds):
-        by_y = found.groupBy("block", "y").agg(F.min("part").alias("py"))
-        by_x = found.join(by_y, ["block", "y"]).groupBy("block", "x").agg(F.min("py").alias("px"))
-        after = cut(found.join(by_x, ["block", "x"]).select(*found.columns[:-1], F.col("px").alias("part"), (F.col("px") < F.col("part")).alias("moved")), "parts")
-        moved = after.where("moved").limit(1).count()
-        found = after.drop("moved")
-        if not moved:
-            return found
-    raise RuntimeError("parts did not settle")
+def edge_parts(edges: DataFrame) -> DataFrame:
+    """Adds part: the smallest x of the edge's connected part."""
+    edges = cut(edges, "edges")
+    node = lambda side, key: F.struct(F.col("block"), F.lit(side).alias("side"), F.col(key).alias("id"))
+    parts = components(edges.select(node(0, "x").alias("u"), node(1, "y").alias("v"))).where("node.side = 0")
+    parts = parts.select(F.col("node.block").alias("block"), F.col("node.id").alias("x"), F.col("component.id").alias("part"))
+    return edges.join(parts, ["block", "x"]).select(*edges.columns, "part")
 
 
 def _placed(edges: DataFrame) -> DataFrame:

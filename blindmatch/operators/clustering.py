@@ -16,10 +16,11 @@ from blindmatch.functions.blocking import party_order
 from blindmatch.functions.masks import LENGTH, common_ones
 from blindmatch.operators import kernels
 from blindmatch.operators.assignment import assign_best_first, assign_greedy, assign_optimal
+from blindmatch.operators.components import components
 from blindmatch.plans.lineage import cut
 
-#: Records of a block that one task takes.
-TASK_RECORDS = 20_000
+#: Records of a block that one task takes: its similarities are at most a quarter of the square of this, 8 bytes each.
+TASK_RECORDS = 8_000
 OUT = "block string, cluster_id long, party int, rec_id long, cluster_size int"
 
 
@@ -144,14 +145,18 @@ def _early_rounds(rows: DataFrame, order: list[int], s_t: float, how: str, mappi
 
 
 def cluster_late(
-    masked: DataFrame, s_t: float = 0.8, ord="size", cluster_sim: str = "average", merge: str = "per_edge", leftover: str = "drop_subset", rethreshold: bool = False, max_clusters_per_block: int = 5000
+    masked: DataFrame, s_t: float = 0.8, ord="size", cluster_sim: str = "average", merge: str = "per_edge", leftover: str = "drop_subset", rethreshold: bool = False, max_clusters_per_block: int = 5000, max_records_per_block: int = TASK_RECORDS // 2
 ) -> DataFrame:
     """Late mapping: overlapping clusters over all parties first, then split, map and merge party by party.
 
-    A block whose overlapping clusters exceed the limit stops the run with an error that names it; none is truncated.
+    A block whose records or overlapping clusters exceed their limits stops the run with an error that names it; none is truncated.
+    Records are counted before any similarity is computed, as a task holds all similarities of its block.
     """
     order = _order(masked, ord)
     rows = masked.select("block", "party", "rec_id", "words")
+    large = rows.groupBy("block").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > max_records_per_block).orderBy(F.desc("n"), "block").first()
+    if large:
+        raise kernels.BlockTooLarge(f"block {large.block}: {large.n} records; the limit is {max_records_per_block}, use finer blocks")
     return rows.groupBy("block").applyInArrow(_late(order, s_t, cluster_sim, merge, leftover, rethreshold, max_clusters_per_block), OUT)
 
 
@@ -196,15 +201,10 @@ def cluster_components(masked: DataFrame, s_t: float = 0.8) -> DataFrame:
     pairs = a.join(b, (F.col("a.block") == F.col("b.block")) & (F.col("a.party") < F.col("b.party")))
     pairs = pairs.where(F.least("a.ones", "b.ones") * (2 - s_t) >= F.greatest("a.ones", "b.ones") * s_t).where((total > 0) & (2 * z / total >= s_t))
     pairs = pairs.select(F.col("a.block").alias("block"), F.col("a.rec_id").alias("u"), F.col("b.rec_id").alias("v"))
-    both = cut(pairs.union(pairs.select("block", "v", "u")), "pairs")
-    label = cut(m.select("block", "party", "rec_id", F.col("rec_id").alias("cluster_id")), "labels")
-    while True:
-        near = both.join(label.select("block", F.col("rec_id").alias("v"), "cluster_id"), ["block", "v"]).groupBy("block", F.col("u").alias("rec_id")).agg(F.min("cluster_id").alias("low"))
-        after = label.join(near, ["block", "rec_id"], "left").withColumn("best", F.least("cluster_id", "low"))
-        after = cut(after.select("block", "party", "rec_id", F.col("best").alias("cluster_id"), (F.col("best") < F.col("cluster_id")).alias("moved")), "labels")
-        label = after.drop("moved")
-        if not after.where("moved").limit(1).count():
-            break
+    node = lambda c: F.struct("block", F.col(c).alias("rec_id"))
+    found = components(pairs.select(node("u").alias("u"), node("v").alias("v")))
+    found = found.select("node.block", "node.rec_id", F.col("component.rec_id").alias("low"))
+    label = m.select("block", "party", "rec_id").join(found, ["block", "rec_id"], "left").withColumn("cluster_id", F.coalesce("low", "rec_id")).drop("low")
     size = label.groupBy("block", "cluster_id").agg(F.count(F.lit(1)).cast("int").alias("cluster_size"))
     return label.join(size, ["block", "cluster_id"]).select("block", "cluster_id", "party", "rec_id", "cluster_size")
 

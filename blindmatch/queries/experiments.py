@@ -12,7 +12,8 @@ from blindmatch.functions import blocking, masks
 from blindmatch.operators import baselines, clustering, measures, privacy
 from blindmatch.plans.lineage import cut
 from blindmatch.queries import workloads as W
-from blindmatch.queries.linkage import exact
+from blindmatch.queries.early_sql import sql_early, sql_quality
+from blindmatch.queries.linkage import exact, sql_exact
 from blindmatch.queries.registry import query
 from blindmatch.sources import roster as R
 from blindmatch.sources.tables import load
@@ -103,7 +104,14 @@ def e6_baselines(s, d):
     return _all(out)
 
 
-@query("e7_exact_vs_approx")
+_E7 = " UNION ALL ".join(
+    part
+    for r in (0, 20, 40)
+    for part in (sql_quality(sql_early(5, r), "assigned", tags=f"{r} AS corrupted, 'early' AS method, "), sql_quality(sql_exact(5, r), "c", tags=f"{r} AS corrupted, 'exact' AS method, "))
+)
+
+
+@query("e7_exact_vs_approx", _E7)
 def e7_exact_vs_approx(s, d):
     out = []
     for rate in (0, 20, 40):
@@ -180,7 +188,10 @@ def e12_whole_documents(s, d):
     return invariants(clustering.cluster_early(masks.encode_texts(docs, "text"), s_t=0.85))
 
 
-@query("e13_ablation")
+_E13 = " UNION ALL ".join(sql_quality(sql_early(5, 20, how=c, ord=o), "assigned", tags=f"'{o}' AS ord, '{c}' AS cluster_sim, ") for o in ("size", "random") for c in ("average", "min", "max", "cbf"))
+
+
+@query("e13_ablation", _E13)
 def e13_ablation(s, d):
     """Order of parties by cluster similarity."""
     m, t = _setting(s, d, 5, 20)
