@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from blindmatch.functions.blocking import party_order
-from blindmatch.functions.masks import LENGTH, common_ones
+from blindmatch.functions.masks import LENGTH, common_ones, encode_custom, tokens_of
 from blindmatch.operators import kernels
 from blindmatch.operators.assignment import assign_best_first, assign_greedy, assign_optimal
 from blindmatch.operators.components import components
@@ -160,6 +160,17 @@ def cluster_late(
     return rows.groupBy("block").applyInArrow(_late(order, s_t, cluster_sim, merge, leftover, rethreshold, max_clusters_per_block), OUT)
 
 
+def clear_grams(people: DataFrame, attrs, keep=("block", "party", "rec_id"), most: int = 20_000) -> DataFrame:
+    """Sets of grams themselves as packed words, one position for each gram that occurs, so nothing collides and any clustering runs on
+    clear text. The grams' number is bounded by the alphabet; more than ``most`` is an error."""
+    people = people.withColumn("_grams", tokens_of(attrs))
+    grams = sorted(r[0] for r in people.select(F.explode("_grams").alias("g")).distinct().limit(most + 1).collect())
+    if len(grams) > most:
+        raise ValueError(f"more than {most} different grams")
+    place = F.create_map(*(F.lit(x) for i, g in enumerate(grams, 1) for x in (g, i)))
+    return encode_custom(people, F.array_sort(F.transform("_grams", lambda g: F.element_at(place, g))), len(grams), keep=keep)
+
+
 def matches(assignments: DataFrame, s_m: int = 2) -> DataFrame:
     """Clusters of at least ``s_m`` members; with all parties as ``s_m``, entities that every party holds."""
     return assignments.where(F.col("cluster_size") >= s_m)

@@ -61,6 +61,19 @@ def comparisons_bound(masked: DataFrame) -> DataFrame:
     return made.crossJoin(parties)  # one row each
 
 
+def linkage_costs(masked: DataFrame) -> DataFrame:
+    """One row of what a linkage costs by count: parties, records, blocks, the largest block, record comparisons, messages of masked
+    records and block keys to the unit, bytes of masks, and bytes of all similarities of the largest block."""
+    per = masked.groupBy("block", "party").agg(F.count(F.lit(1)).alias("n"), F.max(F.size("words")).alias("w"))
+    block = per.groupBy("block").agg(F.sum("n").alias("s"), F.sum(F.col("n") * F.col("n")).alias("q"), F.count(F.lit(1)).alias("k"), F.max("w").alias("w"))
+    inside = (F.col("s") * F.col("s") - F.col("q")) / 2
+    out = block.agg(
+        F.sum("s").alias("records"), F.count(F.lit(1)).alias("blocks"), F.max("s").alias("largest_block"), F.sum(inside).cast("long").alias("comparisons"),
+        F.sum("k").alias("block_messages"), F.sum(F.col("s") * F.col("w") * 8).alias("mask_bytes"), (F.max(inside) * 8).cast("long").alias("largest_block_bytes"),
+    )
+    return out.select("records", "blocks", "largest_block", "comparisons", "block_messages", F.col("records").alias("record_messages"), "mask_bytes", "largest_block_bytes")
+
+
 def communication(spark: SparkSession, n: int, b: int, parties: list[int]) -> DataFrame:
     """Messages by number of parties: p * b block keys, p * n masked records, participants + 1 for each secure sum."""
     rows = spark.createDataFrame([(p,) for p in parties], "p int")

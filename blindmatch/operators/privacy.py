@@ -106,6 +106,28 @@ def suspicion_cbf(members: DataFrame, world: DataFrame, length: int = LENGTH) ->
     return out.select("rec_id", "x", "n_g", (1.0 / F.col("n_g")).alias("p_s"))
 
 
+def suspicion_cbf_global(members: DataFrame, world: DataFrame) -> DataFrame:
+    """The same attack on all global records, whatever their block. ``members``: block, cluster_id, rec_id, words, bits; ``world``: words, bits.
+
+    A consistent record has every position of full count, so it is enough to look where the rarest of them is set: clusters meet records
+    by that position, an equi-join, and are then tested. Equal filters of the world are counted once, with their number."""
+    distinct = world.groupBy("words").agg(F.count(F.lit(1)).alias("n"), F.first("bits").alias("bits"))
+    often = distinct.select(F.explode("bits").alias("pos"), "n").groupBy("pos").agg(F.sum("n").alias("often"))
+    sizes = members.groupBy("block", "cluster_id").agg(F.count(F.lit(1)).alias("x")).where("x > 1")
+    counted = members.select("block", "cluster_id", F.explode("bits").alias("pos")).groupBy("block", "cluster_id", "pos").agg(F.count(F.lit(1)).alias("c"))
+    counted = counted.join(sizes, ["block", "cluster_id"]).join(often, "pos", "left").withColumn("often", F.coalesce("often", F.lit(0)))
+    rare = F.min_by("pos", F.when(F.col("c") == F.col("x"), F.struct("often", "pos")))
+    found = counted.groupBy("block", "cluster_id", "x").agg(
+        rare.alias("rarest"), F.collect_list(F.when(F.col("c") == F.col("x"), F.col("pos"))).alias("must"), F.collect_list("pos").alias("may")
+    )
+    asked = distinct.select("n", "bits", F.explode("bits").alias("rarest"))
+    subset = lambda a, b: F.size(F.array_except(a, b)) == 0
+    hits = found.join(asked, "rarest").where(subset("must", "bits") & subset("bits", "may"))
+    hits = hits.groupBy("block", "cluster_id", "x").agg(F.sum("n").alias("n_g"))
+    out = members.select("block", "cluster_id", "rec_id").join(hits, ["block", "cluster_id"])
+    return out.select("rec_id", "x", "n_g", (1.0 / F.col("n_g")).alias("p_s"))
+
+
 def risk(suspicion: DataFrame) -> DataFrame:
     """Mean and marketer disclosure risk: records, dr_mean, dr_marketer."""
     return suspicion.agg(F.count(F.lit(1)).alias("records"), F.round(F.avg("p_s"), 6).alias("dr_mean"), F.round(F.avg((F.col("p_s") >= 1.0).cast("double")), 6).alias("dr_marketer"))

@@ -17,9 +17,9 @@ _SCORES = {
 _ORDERS = {"size": "-count(*)", "random": "md5('7:' || party)"}
 
 
-def sql_early(p: int, rate: int = 20, s_t: float = 0.8, how: str = "average", mapping: str = "optimal", ord: str = "size") -> str:
+def sql_early(p: int, rate: int = 20, s_t: float = 0.8, how: str = "average", mapping: str = "optimal", ord: str = "size", masked: str | None = None) -> str:
     """CTEs up to ``assigned``: rec_id, cluster_id, cluster_size, entity_id."""
-    out = [W.sql_masked(p, rate).replace("WITH ", "WITH RECURSIVE ", 1)]
+    out = [(masked or W.sql_masked(p, rate)).replace("WITH ", "WITH RECURSIVE ", 1)]
     out.append(f"places AS MATERIALIZED (SELECT party, row_number() OVER (ORDER BY {_ORDERS[ord]}, party) - 1 AS place FROM masked GROUP BY party)")
     out.append("recs AS MATERIALIZED (SELECT m.block, m.rec_id, m.entity_id, m.bits, m.ones, place FROM masked m JOIN places USING (party))")
     out.append("members0 AS MATERIALIZED (SELECT block, rec_id AS cluster, 0::BIGINT AS seed_place, rec_id, entity_id, bits, ones FROM recs WHERE place = 0)")

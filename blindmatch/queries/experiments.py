@@ -111,6 +111,34 @@ _E7 = " UNION ALL ".join(
 )
 
 
+_GROWTH = " UNION ALL ".join(
+    f"""SELECT {p} AS p, '{k}' AS blocking, comparisons, tuples, ring_tuples, tuples > 1000000 AS tuple_guarded, ring_tuples > 1000000 AS ring_guarded FROM (
+  WITH {R.sql_parties(p)}, n AS (SELECT block, {", ".join(f"count(*) FILTER (party = {q}) AS n{q}" for q in range(1, p + 1))} FROM (SELECT {b} AS block, party FROM parties) GROUP BY block)
+  SELECT sum({" + ".join(f"n{x} * n{y}" for x in range(1, p + 1) for y in range(x + 1, p + 1))})::BIGINT AS comparisons, sum({" * ".join(f"n{q}" for q in range(1, p + 1))})::BIGINT AS tuples,
+    ({" + ".join("sum(" + " * ".join(f"n{q}" for q in range(f, min(f + 3, p + 1))) + ")" for f in range(1, p + 1, 3))})::BIGINT AS ring_tuples FROM n)"""
+    for p in (3, 5, 7)
+    for k, b in (("last", blocking.sql_soundex("last_name")), ("first_last", W.SQL_BLOCK))
+)
+
+
+@query("e6_growth", _GROWTH)
+def e6_growth(s, d):
+    """What the methods compare as parties are added, and where a limit of a million tuples stops the baselines."""
+    out, most = [], 1_000_000
+    for p in (3, 5, 7):
+        for k in ("last", "first_last"):
+            m = blocking.with_block(W.parties(s, d, p), k)
+            rings = [list(range(f, min(f + 3, p + 1))) for f in range(1, p + 1, 3)]
+            row = measures.comparisons_bound(m).select("comparisons")
+            row = row.crossJoin(baselines.tuple_counts(m, list(range(1, p + 1))).agg(F.sum("tuples").alias("tuples")))
+            ring = reduce(lambda a, b: a + b, (F.col(f"r{i}") for i in range(len(rings))))
+            for i, ring_parties in enumerate(rings):
+                row = row.crossJoin(baselines.tuple_counts(m, ring_parties).agg(F.sum("tuples").alias(f"r{i}")))  # one row each
+            row = row.select(F.lit(p).alias("p"), F.lit(k).alias("blocking"), "comparisons", "tuples", ring.alias("ring_tuples"))
+            out.append(row.select("*", (F.col("tuples") > most).alias("tuple_guarded"), (F.col("ring_tuples") > most).alias("ring_guarded")))
+    return _all(out)
+
+
 @query("e7_exact_vs_approx", _E7)
 def e7_exact_vs_approx(s, d):
     out = []
@@ -205,7 +233,34 @@ def e5_snapshots(s, d):
     return _tag(measures.quality(clustering.cluster_early(W.masked(people), s_t=0.7), W.truth(people)), p=26)
 
 
-@query("e5_priorities")
+SIX = (*R.QI[:2], "zipcode", "birth", "sex", "address")
+_PRIORITY = f"WITH {R.sql_by_priority()}, people AS (SELECT *, CAST(birth_date AS VARCHAR) AS birth FROM parties)"
+
+
+def _sql_priority(attrs) -> str:
+    return f"{_PRIORITY},\n{masks.sql_masked('people', attrs, f'{W.SQL_BLOCK} AS block, entity_id', name='listed')},\nmasked AS (SELECT *, len(bits) AS ones FROM listed)"
+
+
+@query("e5_priorities_six", sql_quality(sql_early(5, masked=_sql_priority(SIX)), "assigned", tags="5 AS p, "))
+def e5_priorities_six(s, d):
+    """The emergency collection with six attributes: names, postcode, birth date, sex and address."""
+    people = R.by_priority(s, d).withColumn("birth", F.col("birth_date").cast("string"))
+    m = masks.encode_bf(blocking.with_block(people), SIX, keep=("block", "party", "rec_id"))
+    return _tag(measures.quality(clustering.cluster_early(m), W.truth(people)), p=5)
+
+
+@query("e5_priorities_bit_tree")
+def e5_priorities_bit_tree(s, d):
+    """The same in bit-tree blocks of surname and birth date: completeness of the blocks and quality of the clusters."""
+    people = R.by_priority(s, d).withColumn("birth", F.col("birth_date").cast("string"))
+    tree = blocking.bit_tree(masks.encode_bf(people, ("last_name", "birth"), keep_bits=True), 20, 100, 6).select("rec_id", "block")
+    m = masks.encode_bf(people, SIX).join(tree, "rec_id")
+    found = measures.quality(clustering.cluster_early(m), W.truth(people))
+    done = blocking.pairs_completeness(tree.join(people.select("rec_id", "entity_id"), "rec_id")).select("completeness")
+    return _tag(found.crossJoin(done), p=5)  # one row each
+
+
+@query("e5_priorities", sql_quality(sql_early(5, masked=_sql_priority(R.QI)), "assigned", tags="5 AS p, "))
 def e5_priorities(s, d):
     people = R.by_priority(s, d)
     return _tag(measures.quality(clustering.cluster_early(W.masked(people)), W.truth(people)), p=5)

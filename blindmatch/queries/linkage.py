@@ -149,6 +149,16 @@ def early_cbf_resalted(s, d):
     return sound(clustering.cluster_early_resalted(lambda i: W.masked(people, salt=f"round {i}:"), order), W.truth(people), 0.75)
 
 
+_CLEAR = f"""WITH {R.sql_parties(3)}, {R.sql_corrupt(20)},
+masked AS (SELECT *, len(bits) AS ones FROM (SELECT rec_id, entity_id, party, {W.SQL_BLOCK} AS block, list_distinct(flatten([{", ".join(masks.sql_grams(a) for a in R.QI)}])) AS bits FROM corrupted))"""
+
+
+@query("cleartext_clusters", sql_clusters(3, masked=_CLEAR))
+def cleartext_clusters(s, d):
+    """Early mapping on the gram sets themselves: what the masks' collisions cost is the difference to it."""
+    return _members(clustering.cluster_early(clustering.clear_grams(blocking.with_block(W.parties(s, d, 3, 20)), R.QI)))
+
+
 @query("modes_agree", f"WITH {R.sql_parties(3)} SELECT count(*) AS records, CAST(0 AS BIGINT) AS differ FROM parties")
 def modes_agree(s, d):
     m = W.masked(W.parties(s, d, 3, 20))
@@ -338,6 +348,28 @@ def comparisons_bound(s, d):
     return measures.comparisons_bound(blocking.with_block(W.parties(s, d, 5)))
 
 
+_COSTS = " UNION ALL ".join(f"""SELECT {p} AS p, '{k}' AS blocking, sum(s)::BIGINT AS records, count(*) AS blocks, max(s)::BIGINT AS largest_block, sum((s * s - q) // 2)::BIGINT AS comparisons,
+sum(k)::BIGINT AS block_messages, sum(s)::BIGINT AS record_messages, (sum(s) * 128)::BIGINT AS mask_bytes, (max((s * s - q) // 2) * 8)::BIGINT AS largest_block_bytes
+FROM (SELECT block, sum(n) AS s, sum(n * n) AS q, count(*) AS k FROM (WITH {R.sql_parties(p)} SELECT {b} AS block, party, count(*) AS n FROM parties GROUP BY ALL) GROUP BY block)"""
+    for p in (3, 5, 7, 10) for k, b in (("last", blocking.sql_soundex("last_name")), ("first_last", W.SQL_BLOCK)))
+
+
+@query("linkage_costs", _COSTS)
+def linkage_costs(s, d):
+    """Costs by number of parties and blocking key, counted on the tables."""
+    rows = [
+        measures.linkage_costs(W.masked(W.parties(s, d, p), k)).select(F.lit(p).alias("p"), F.lit(k).alias("blocking"), "*")
+        for p in (3, 5, 7, 10)
+        for k in ("last", "first_last")
+    ]
+    return reduce(lambda a, b: a.union(b), rows)
+
+
+@query("join_self_pairs", f"{W.sql_masked(3, 20)}, {W.SQL_PAIRS} SELECT block, a_id, b_id, CAST(z AS BIGINT) AS z FROM pairs")
+def join_self_pairs(s, d):
+    return W.pairs_in_blocks(W.masked(W.parties(s, d, 3, 20))).select("block", "a_id", "b_id", "z")
+
+
 @query("communication_cost", "SELECT CAST(p AS INTEGER) AS p, CAST(p * 146 AS BIGINT) AS block_messages, CAST(p * 1500 AS BIGINT) AS record_messages, CAST(p + 1 AS BIGINT) AS sum_messages, CAST(p AS BIGINT) AS sum_messages_stated FROM (SELECT unnest([2, 3, 5, 7, 10, 26]) AS p)")
 def communication_cost(s, d):
     return measures.communication(s, 1500, 146, [2, 3, 5, 7, 10, 26])
@@ -419,6 +451,24 @@ def suspicion_cbf(s, d):
     return privacy.suspicion_cbf(members, m).withColumn("p_s", F.round("p_s", 9))
 
 
+_WORLD = f"""{W.sql_masked(3, 20)},
+cnt AS (SELECT block, entity_id, pos, count(*) AS c FROM (SELECT block, entity_id, unnest(bits) AS pos FROM masked) GROUP BY ALL),
+sizes AS (SELECT block, entity_id, count(*) AS x FROM masked GROUP BY ALL HAVING count(*) > 1),
+cb AS (SELECT block, entity_id, x, list(pos) FILTER (c = x) AS must, list(pos) AS may FROM cnt JOIN sizes USING (block, entity_id) GROUP BY ALL),
+post AS MATERIALIZED (SELECT unnest(bits) AS pos, rec_id, bits FROM masked),
+often AS (SELECT pos, count(*) AS n FROM post GROUP BY pos),
+rarest AS MATERIALIZED (SELECT block, entity_id, x, any_value(must) AS must, any_value(may) AS may, arg_min(pos, n) AS pos FROM (SELECT *, unnest(must) AS pos FROM cb) JOIN often USING (pos) GROUP BY ALL),
+consistent AS (SELECT block, entity_id, x, count(*) AS n_g FROM rarest JOIN post USING (pos) WHERE list_has_all(bits, must) AND list_has_all(may, bits) GROUP BY ALL)"""
+
+
+@query("suspicion_cbf_global", f"{_WORLD} SELECT m.rec_id, x, n_g, round(1.0 / n_g, 9) AS p_s FROM masked m JOIN consistent USING (block, entity_id)")
+def suspicion_cbf_global(s, d):
+    people = blocking.with_block(W.parties(s, d, 3, 20))
+    m = masks.encode_bf(people, R.QI, keep=("block", "entity_id", "party", "rec_id"), keep_bits=True)
+    members = m.select("block", F.col("entity_id").cast("string").alias("cluster_id"), "rec_id", "words", "bits")
+    return privacy.suspicion_cbf_global(members, m).withColumn("p_s", F.round("p_s", 9))
+
+
 _RISK = "count(*) AS records, round(avg(p_s), 6) AS dr_mean, round(avg(CASE WHEN p_s >= 1 THEN 1.0 ELSE 0.0 END), 6) AS dr_marketer"
 
 

@@ -277,7 +277,9 @@ def block_risk(s, d):
     return blocking.block_risk(blocking.with_block(W.parties(s, d, 3, 40), "last"))
 
 
-@query("noisy_block_counts")
+@query("noisy_block_counts", f"""{_PEOPLE}, n AS (SELECT {blocking.sql_soundex("last_name")} AS block, count(*) AS n FROM corrupted GROUP BY ALL),
+u AS (SELECT *, (CAST('0x' || substr(md5('7:' || block), 1, 8) AS BIGINT) + 0.5::DOUBLE) / 4294967296 - 0.5::DOUBLE AS u FROM n)
+SELECT block, n, CAST(greatest(0, round(n - sign(u) * ln(1 - 2 * abs(u)))) AS BIGINT) AS noisy FROM u""")
 def noisy_block_counts(s, d):
     return blocking.noisy_block_counts(blocking.with_block(W.parties(s, d, 3, 40), "last"), 1.0)
 

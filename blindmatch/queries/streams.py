@@ -52,6 +52,26 @@ def stream_session(s, d):
     return _text(out)
 
 
+@query("stream_late_rows", f"""WITH c AS (SELECT min(ts) + (max(ts) - min(ts)) / 2 AS middle FROM events)
+SELECT {_TS} AS from_ts, count(*) AS n FROM (SELECT time_bucket(INTERVAL 1 DAY, ts) AS w FROM events, c WHERE ts >= middle) GROUP BY ALL""")
+def stream_late_rows(s, d):
+    """Events of the second half arrive first; those of the first half come behind the watermark and are dropped.
+
+    A batch drops by the watermark that the batch before it had for eviction, so a batch without new rows lies between."""
+    e = _typed(s, d)
+    ends = e.agg(F.min("ts").alias("a"), F.max("ts").alias("b")).first()
+    middle = ends.a + (ends.b - ends.a) / 2
+    path = shared_path(s, "late")
+    marker = e.limit(1).withColumn("ts", F.lit(ends.b)).withColumn("event_type", F.lit("marker"))
+    for part in (e.where(F.col("ts") >= F.lit(middle)), marker, marker, e.where(F.col("ts") < F.lit(middle))):
+        part.coalesce(1).write.mode("append").parquet(path)
+    stream = arrival.file_stream(s, path, e.schema, 1).withWatermark("ts", "1 hour")
+    day = F.window("ts", "1 day")
+    counted = stream.groupBy(day).agg(F.sum((F.col("event_type") != "marker").cast("long")).alias("n"))
+    out = arrival.run_to_table(counted.select(F.col("window.start").alias("from_ts"), "n"), "update", keep=["from_ts"])
+    return _text(out)
+
+
 @query("stream_dedup", "SELECT DISTINCT user_id, event_type FROM events")
 def stream_dedup(s, d):
     e = _events(s, d).where("event_type <> 'end'").withWatermark("ts", "365 days")

@@ -12,16 +12,23 @@ from blindmatch.operators import clustering, kernels
 from blindmatch.plans.lineage import shared_path
 
 
-def run_to_table(stream: DataFrame, mode: str = "append", schema: str | None = None) -> DataFrame:
-    """Run a stream over all that is available and return what it wrote. Append mode writes files; other modes keep the last batch of each key's result."""
+def run_to_table(stream: DataFrame, mode: str = "append", keep: list[str] | None = None) -> DataFrame:
+    """Run a stream over all that is available and return what it wrote. Append mode writes files; complete mode keeps the last batch;
+    update mode keeps each batch, of which the last row of every key (``keep``) counts."""
     spark = stream.sparkSession
     path, check = shared_path(spark, "stream"), shared_path(spark, "stream-check")
     writer = stream.writeStream.option("checkpointLocation", check).trigger(availableNow=True)
     if mode == "append":
         q = writer.outputMode("append").format("parquet").option("path", path).start()
+    elif mode == "update":
+        q = writer.outputMode("update").foreachBatch(lambda df, i: df.withColumn("_batch", F.lit(i)).write.mode("overwrite").parquet(f"{path}/batch-{i}")).start()
     else:
         q = writer.outputMode(mode).foreachBatch(lambda df, i: df.write.mode("overwrite").parquet(path)).start()
     q.awaitTermination()
+    if mode == "update":
+        rest = [c for c in stream.columns if c not in keep]
+        rows = spark.read.parquet(f"{path}/batch-*")
+        return rows.groupBy(*keep).agg(*(F.max_by(c, "_batch").alias(c) for c in rest)).select(*stream.columns)
     return spark.read.schema(stream.schema).parquet(path)
 
 
