@@ -2,10 +2,51 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from blindmatch.llm import storage
+from blindmatch.llm.words import lean
+
+#: Links that a task contracts at once.
+HELD_LINKS = 1 << 20
+
+
+def contracted(u: np.ndarray, v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Links from every node to the smallest node of its component, among these links alone."""
+    nodes, at = np.unique(np.concatenate([u, v]), return_inverse=True)
+    a, b = at[: len(u)], at[len(u) :]
+    root = np.arange(len(nodes))
+    while True:
+        x, y = root[a], root[b]
+        if (x == y).all():
+            break
+        np.minimum.at(root, np.maximum(x, y), np.minimum(x, y))
+        while (root[root] != root).any():
+            root = root[root]
+    far = np.flatnonzero(root != np.arange(len(nodes)))
+    return nodes[far], nodes[root[far]]
+
+
+def _contract(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    held: list[np.ndarray] = []
+
+    def emit() -> pa.RecordBatch:
+        u, v = contracted(*np.concatenate(held, axis=1))
+        held.clear()
+        return pa.RecordBatch.from_arrays([pa.array(u), pa.array(v)], ["u", "v"])
+
+    for batch in batches:
+        if batch.num_rows:
+            held.append(np.stack([batch.column(0).to_numpy(), batch.column(1).to_numpy()]))
+        if sum(x.shape[1] for x in held) >= HELD_LINKS:
+            yield emit()
+    if held:
+        yield emit()
 
 
 def _state(edges: DataFrame) -> tuple:
@@ -16,10 +57,12 @@ def connected_components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
     """``edges``: u, v (long). Returns node, component (its smallest node) for every node that has a link to another.
 
     Each round is two aggregations and two joins on the node; minima are partial aggregates, and the joins are
-    splittable, so a node with most of the links is not gathered. A component of n nodes takes about log n rounds.
+    splittable, so a node with most of the links is not gathered. A component of n nodes takes about log n rounds. Before the
+    first, each task contracts the links that it has, ``HELD_LINKS`` at once, to stars of the same components, which leaves few rounds.
+    Links with a null end are ignored; links may repeat; an empty table gives an empty table.
     """
     edges = edges.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
-    edges = storage.written(edges, "links")
+    edges = storage.written(edges.mapInArrow(lean(_contract), "u long, v long").distinct(), "links")
     before = _state(edges)
     for _ in range(most_rounds):
         if not before[0]:

@@ -29,6 +29,8 @@ from blindmatch.llm.words import Words, chunks, give_back, lean, mix
 
 BUCKETS = 1 << 20
 TRUSTED = 20_000
+#: Buckets of a batch that a task sends.
+SENT = 1 << 15
 #: Pseudo-counts of a feature, both for its trusted and for its expected count.
 PRIOR = 4
 THRESHOLD = -0.1
@@ -95,7 +97,9 @@ def fit_ratio(docs: DataFrame, trusted: DataFrame | None, id_col: str = "doc_id"
                 counts[0] += np.bincount(bucket, minlength=BUCKETS)
                 counts[1] += np.bincount(bucket[good[low:high][doc]], minlength=BUCKETS)
         seen = np.flatnonzero(counts[0])
-        yield pa.RecordBatch.from_arrays([pa.array(seen), pa.array(counts[0][seen]), pa.array(counts[1][seen])], ["bucket", "raw", "good"])
+        for at in range(0, len(seen), SENT):
+            some = seen[at : at + SENT]
+            yield pa.RecordBatch.from_arrays([pa.array(some), pa.array(counts[0][some]), pa.array(counts[1][some])], ["bucket", "raw", "good"])
 
     counted = docs.select(F.col(id_col).cast("long"), F.col(text_col)).mapInArrow(lean(rows), "bucket long, raw long, good long")
     table = counted.groupBy("bucket").agg(F.sum("raw").alias("raw"), F.sum("good").alias("good")).toArrow()
