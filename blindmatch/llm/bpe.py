@@ -10,15 +10,18 @@ pattern up; a word outside the dictionary goes through the same merges in the ta
 and is remembered there, up to ``MEMO_WORDS`` words. Folding every distinct word in the JVM gives the
 same ids at many times the cost; the README has the measured figures.
 
-Decoding concatenates the pieces of the ids, in the JVM, from a literal array of pieces.
+Decoding concatenates the binary pieces of the ids: :func:`decode_documents` takes them from one Arrow array of pieces,
+where those of a text lie side by side; :func:`decode_ids` does the same to a column, from a literal array of pieces.
 
-Bytes travel as hexadecimal strings in the fold, where concatenation of strings is that of bytes.
+Bytes travel as hexadecimal strings in the fold, where concatenation of strings is that of bytes. The plan has the map of ranks
+once, as the driver keeps the text of every plan that it has run.
 
 The split pattern's matches are found from the classes of code points (letter, number, space, other), all
 texts of a chunk at once; tests hold it against the pattern itself.
 
 Defined cases: null and empty texts have no ids and decode to no bytes; repeated rows are encoded each;
-special tokens are ordinary text; extra columns are not read; an empty table gives an empty table.
+special tokens are ordinary text; extra columns are not read; an empty table gives an empty table. Null ids decode to null, and an
+id without a piece stops decoding with an error.
 """
 
 from __future__ import annotations
@@ -34,7 +37,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import regex
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from blindmatch.llm import storage
@@ -178,28 +181,27 @@ def _let(value: Column, body) -> Column:
     return F.element_at(F.transform(F.array(value), body), 1)
 
 
-def rank_lookup(ranks: dict[bytes, int]):
-    """A function from a hexadecimal column to its rank or null, by a literal array of small maps."""
+def rank_table(ranks: dict[bytes, int]) -> Column:
+    """The ranks as one literal: an array of small maps from hexadecimal pieces."""
     shards: list[dict[str, int]] = [{} for _ in range(SHARDS)]
     for piece, rank in ranks.items():
         key = piece.hex().upper()
         shards[zlib.crc32(key.encode()) % SHARDS][key] = rank
-    literal = F.from_json(F.lit(json.dumps(shards)), "array<map<string,int>>")
+    return F.from_json(F.lit(json.dumps(shards)), "array<map<string,int>>")
 
-    def rank(key: Column) -> Column:
-        shard = F.pmod(F.crc32(key.cast("binary")), F.lit(SHARDS)).cast("int")
-        return F.try_element_at(F.try_element_at(literal, shard + 1), key)
 
-    return rank
+def rank_of(table: Column, key: Column) -> Column:
+    """The rank of a hexadecimal column, or null."""
+    shard = F.pmod(F.crc32(key.cast("binary")), F.lit(SHARDS)).cast("int")
+    return F.try_element_at(F.try_element_at(table, shard + 1), key)
 
 
-def encode_words(words: DataFrame, ranks: dict[bytes, int], word_col: str = "word") -> DataFrame:
-    """Adds ``ids`` (array<int>) to a table of distinct words, by a fold of ranked merges. Null: no ids."""
-    rank = rank_lookup(ranks)
+def _folded(spelled: Column, table: Column) -> Column:
+    """Ids of a column of hexadecimal words, by a fold that joins the adjacent parts of lowest rank."""
 
     def step(parts: Column, _: Column) -> Column:
         n = F.size(parts)
-        joined = F.zip_with(F.slice(parts, F.lit(1), n - 1), F.slice(parts, F.lit(2), n - 1), lambda a, b: F.coalesce(rank(F.concat(a, b)), F.lit(_NONE)))
+        joined = F.zip_with(F.slice(parts, F.lit(1), n - 1), F.slice(parts, F.lit(2), n - 1), lambda a, b: F.coalesce(rank_of(table, F.concat(a, b)), F.lit(_NONE)))
 
         def apply(found: Column) -> Column:
             def at(i: Column) -> Column:
@@ -211,15 +213,19 @@ def encode_words(words: DataFrame, ranks: dict[bytes, int], word_col: str = "wor
 
         return F.when(n < 2, parts).otherwise(_let(joined, apply))
 
-    spelled = F.hex(F.encode(F.coalesce(F.col(word_col), F.lit("")), "UTF-8"))
     n_bytes = (F.length(spelled) / 2).cast("int")
     byte_parts = F.when(n_bytes > 0, F.transform(F.sequence(F.lit(1), F.greatest(n_bytes, F.lit(1))), lambda i: F.substring(spelled, i * 2 - 1, F.lit(2))))
     byte_parts = F.coalesce(byte_parts, F.array().cast("array<string>"))
     turns = F.slice(byte_parts, 2, F.greatest(n_bytes, F.lit(1)))  # one fewer than bytes
     parts = F.aggregate(turns, byte_parts, step)
-    whole = rank(spelled)
-    ids = F.when(whole.isNotNull(), F.array(whole)).otherwise(F.transform(parts, rank))
-    return words.withColumn("ids", ids)
+    whole = rank_of(table, spelled)
+    return F.when(whole.isNotNull(), F.array(whole)).otherwise(F.transform(parts, lambda p: rank_of(table, p)))
+
+
+def encode_words(words: DataFrame, ranks: dict[bytes, int], word_col: str = "word") -> DataFrame:
+    """Adds ``ids`` (array<int>) to a table of distinct words, by a fold of ranked merges. Null: no ids."""
+    spelled = F.hex(F.encode(F.coalesce(F.col(word_col), F.lit("")), "UTF-8"))
+    return words.withColumn("ids", _let(rank_table(ranks), lambda table: _folded(spelled, table)))
 
 
 def decode_ids(ids: Column, ranks: dict[bytes, int]) -> Column:
@@ -231,6 +237,26 @@ def decode_ids(ids: Column, ranks: dict[bytes, int]) -> Column:
     return F.unhex(F.array_join(F.transform(ids, lambda i: F.element_at(literal, i + 1)), ""))
 
 
+def piece_array(ranks: dict[bytes, int]) -> pa.Array:
+    """The piece of each id, null where there is none."""
+    pieces: list[bytes | None] = [None] * (max(ranks.values()) + 1)
+    for piece, rank in ranks.items():
+        pieces[rank] = piece
+    return pa.array(pieces, pa.large_binary())
+
+
+def decoded(ids: pa.ListArray, pieces: pa.Array) -> list[bytes | None]:
+    """The bytes of each list of ids: its pieces, which ``take`` lays side by side."""
+    taken = pieces.take(ids.flatten())
+    if taken.null_count:
+        raise ValueError("an id has no piece")
+    until = np.concatenate([[0], np.cumsum(ids.value_lengths().fill_null(0).to_numpy())])
+    ends = np.frombuffer(taken.buffers()[1], np.int64) if len(taken) else np.zeros(1, np.int64)
+    data, cuts = taken.buffers()[2], ends[until].tolist()
+    raw = memoryview(data) if data is not None else memoryview(b"")
+    return [bytes(raw[a:b]) if ok else None for a, b, ok in zip(cuts, cuts[1:], ids.is_valid().to_pylist())]
+
+
 # -- documents -----------------------------------------------------------------------------------------
 
 
@@ -271,8 +297,8 @@ def most_frequent(counted: DataFrame, most: int) -> DataFrame:
     return counted.where(level >= least) if least is not None else counted.limit(0)
 
 
-def encode_documents(docs: DataFrame, ranks: dict[bytes, int], id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row per document: id, ids (array<int>), n_tokens, ids_sha256 (of little-endian 32-bit ids)."""
+def _encoder(docs: DataFrame, ranks: dict[bytes, int], text_col: str):
+    """For mapInArrow over (id, text): id, ids, n_tokens, ids_sha256, a batch for each chunk of texts."""
     context = docs.sparkSession.sparkContext
     classes = context.broadcast(code_point_classes())
     counted = storage.written(count_words(docs, text_col, classes), "words")
@@ -317,11 +343,65 @@ def encode_documents(docs: DataFrame, ranks: dict[bytes, int], id_col: str = "do
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(low, len(parts)), lists, pa.array(sizes, pa.int64()), pa.array(digests)], schema=schema)
                 low += len(parts)
 
-    out = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col)).mapInArrow(lean(rows), "id long, ids array<int>, n_tokens long, ids_sha256 string")
+    return rows
+
+
+def encode_documents(docs: DataFrame, ranks: dict[bytes, int], id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row per document: id, ids (array<int>), n_tokens, ids_sha256 (of little-endian 32-bit ids)."""
+    asked = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col))
+    out = asked.mapInArrow(lean(_encoder(docs, ranks, text_col)), "id long, ids array<int>, n_tokens long, ids_sha256 string")
     return out.withColumnRenamed("id", id_col)
 
 
+def _decoder(spark: SparkSession, ranks: dict[bytes, int]):
+    """For chunks of lists of ids: what :func:`decoded` gives, from pieces that a worker lays out once a task."""
+    shared = spark.sparkContext.broadcast(ranks)
+
+    def run(columns: Iterator[pa.ListArray]) -> Iterator[list[bytes | None]]:
+        pieces = piece_array(shared.value)
+        for ids in columns:
+            yield decoded(ids, pieces)
+
+    return run
+
+
+def decode_documents(coded: DataFrame, ranks: dict[bytes, int], id_col: str = "doc_id", ids_col: str = "ids") -> DataFrame:
+    """One row per row of ``coded``: id, decoded (binary)."""
+    decode = _decoder(coded.sparkSession, ranks)
+
+    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kept: list[pa.Array] = []
+
+        def lists() -> Iterator[pa.ListArray]:
+            for batch in batches:
+                kept.append(batch.column(0))
+                yield batch.column(1)
+
+        for found in decode(lists()):
+            yield pa.RecordBatch.from_arrays([kept.pop(), pa.array(found, pa.binary())], ["id", "decoded"])
+
+    asked = coded.select(F.col(id_col).cast("long").alias("id"), F.col(ids_col).cast("array<int>"))
+    return asked.mapInArrow(lean(rows), "id long, decoded binary").withColumnRenamed("id", id_col)
+
+
 def encode_and_decode(docs: DataFrame, ranks: dict[bytes, int], id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row per document: id, n_tokens, ids_sha256, decoded_sha256 (of the bytes that the ids decode to)."""
-    coded = encode_documents(docs, ranks, id_col, text_col)
-    return coded.select(id_col, "n_tokens", "ids_sha256", F.sha2(decode_ids(F.col("ids"), ranks), 256).alias("decoded_sha256"))
+    """One row per document: id, n_tokens, ids_sha256, decoded_sha256 (of the bytes that the ids decode to).
+
+    A task decodes the ids of each chunk that it has encoded, so ids are not sent back to the JVM."""
+    encode, decode = _encoder(docs, ranks, text_col), _decoder(docs.sparkSession, ranks)
+
+    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        coded: list[pa.RecordBatch] = []
+
+        def lists() -> Iterator[pa.ListArray]:
+            for batch in encode(batches):
+                coded.append(batch)
+                yield batch.column(1)
+
+        for found in decode(lists()):
+            done = coded.pop()
+            digests = pa.array([hashlib.sha256(x).hexdigest() for x in found])
+            yield pa.RecordBatch.from_arrays([done.column(0), done.column(2), done.column(3), digests], ["id", "n_tokens", "ids_sha256", "decoded_sha256"])
+
+    asked = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col))
+    return asked.mapInArrow(lean(rows), "id long, n_tokens long, ids_sha256 string, decoded_sha256 string").withColumnRenamed("id", id_col)

@@ -2,6 +2,7 @@ import hashlib
 import random
 
 import numpy as np
+import pyarrow as pa
 import public_tokenizers as P
 import pytest
 import regex
@@ -66,5 +67,18 @@ def test_decoding_is_a_concatenation(spark, ranks):
     assert bytes(row.b) == by_rank[0] + by_rank[5] and bytes(row.e) == b""
 
 
+def test_decoding_tables(spark, ranks):
+    by_rank = {v: k for k, v in ranks.items()}
+    rows = [(1, [0, 5, 300, 49_000]), (2, []), (3, None), (3, [7]), (None, [7, 7])]
+    coded = spark.createDataFrame(rows, "doc_id long, ids array<int>")
+    got = sorted((str(r.doc_id), None if r.decoded is None else bytes(r.decoded)) for r in bpe.decode_documents(coded, ranks).collect() if r.decoded is not None)
+    assert got == sorted((str(i), b"".join(by_rank[x] for x in ids)) for i, ids in rows if ids is not None)
+    assert bpe.decode_documents(coded.where("ids is null"), ranks).first().decoded is None
+    cut = pa.array([[1], [2, 3], None, [], [4]], pa.list_(pa.int32())).slice(1, 3)
+    assert bpe.decoded(cut, bpe.piece_array(ranks)) == [by_rank[2] + by_rank[3], None, b""]
+    with pytest.raises((ValueError, IndexError)):
+        bpe.decoded(pa.array([[10**9]], pa.list_(pa.int32())), bpe.piece_array(ranks))
+
+
 def test_empty_table(spark, ranks):
     assert bpe.encode_and_decode(spark.createDataFrame([], "doc_id long, text string"), ranks).count() == 0
