@@ -14,8 +14,9 @@ in a document with a smaller id is removed there, with all words it covers.
 4. Coordinates. Removed edges go back to their documents as (start, length) spans, where the kept words are
    assembled and counted.
 
-Equality: paths compare by (anchor, path) and edges by (anchor, edge), 128 bits each; the anchor is a function
-of the words as well, so a false match needs two independent hashes to collide.
+Equality is that of hashes, not of words: paths compare by (anchor, path) and edges by (anchor, edge), 64 bits each part. Both
+parts come from one 64-bit hash a word, so two words of equal hashes are one word here; different windows of words with different
+hashes need the same anchor, that is a shared gram, and a collision of their edges.
 
 Hot passages: a path or edge that a third of all documents share is a partial aggregate before it is
 shuffled; where occurrences meet their verdict the join is a sort-merge join that adaptive execution can split.
