@@ -119,14 +119,17 @@ _COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"
 def judge(docs: DataFrame, trusted: DataFrame | None, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD, keep_columns: bool = False) -> DataFrame:
     """One row per document: id, the base counts, score, base_failed, kept; with ``keep_columns`` also the columns of ``docs``, prefixed ``in_``."""
     ratio = docs.sparkSession.sparkContext.broadcast(fit_ratio(docs, trusted, id_col, text_col))
-    carried = [F.col(c).alias(f"in_{c}") for c in docs.columns] if keep_columns else []
-    asked = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("judged"), *carried)
+    # Columns that are kept travel once: the text among them is also the one that is judged.
+    sent = [F.col(c).alias(f"in_{c}") for c in docs.columns] if keep_columns else [F.col(text_col).alias("judged")]
+    text_at = 1 + ([c.lower() for c in docs.columns].index(text_col.lower()) if keep_columns else 0)
+    back = 1 if keep_columns else 2
+    asked = docs.select(F.col(id_col).cast("long").alias("id"), *sent)
     verdict = "n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, score double, base_failed boolean, kept boolean"
-    extra = "".join(f", `{f.name}` {f.dataType.simpleString()}" for f in asked.schema.fields[2:])
+    extra = "".join(f", `{f.name}` {f.dataType.simpleString()}" for f in asked.schema.fields[back:])
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for low, high, words in chunks(batch.column(1)):
+            for low, high, words in chunks(batch.column(text_at)):
                 counts = base_counts(words)
                 bucket, doc = _features(words)
                 total = np.bincount(doc, ratio.value[bucket], minlength=high - low)
@@ -136,8 +139,8 @@ def judge(docs: DataFrame, trusted: DataFrame | None, id_col: str = "doc_id", te
                 columns = [pa.array(counts[c].astype(np.int64)) for c in _COUNTS]
                 columns += [pa.array(score), pa.array(failed), pa.array(~failed & (score >= threshold))]
                 yield pa.RecordBatch.from_arrays(
-                    [part.column(0), *columns, *(part.column(i) for i in range(2, part.num_columns))],
-                    ["id", *_COUNTS, "score", "base_failed", "kept", *part.schema.names[2:]],
+                    [part.column(0), *columns, *(part.column(i) for i in range(back, part.num_columns))],
+                    ["id", *_COUNTS, "score", "base_failed", "kept", *part.schema.names[back:]],
                 )
 
     return asked.mapInArrow(lean(rows), f"id long, {verdict}{extra}").withColumnRenamed("id", id_col)
