@@ -386,25 +386,20 @@ def _bands(percent: int):
     return F.array(band - 1, band)
 
 
-def _with_cuts(rows: DataFrame, key: str, weight, hot: DataFrame, limit: int, percent: int) -> DataFrame:
-    """Adds cuts: null, but for the keys of ``hot`` a map from band group to its number of blocks (as many entries as sizes have bands)."""
+def _dealt(rows: DataFrame, key: str, weight, hot: DataFrame, limit: int, percent: int) -> DataFrame:
+    """A row for every group that a row is compared in: adds band, low and high. Rows are in one group each, but those of the keys of
+    ``hot``, which alone are dealt over their band groups and, where these are above ``limit`` in weight, pairs of blocks."""
+    one = lambda df: df.select("*", F.lit(-1).alias("band"), F.lit(0).alias("low"), F.lit(0).alias("high"))
     hot = storage.written(hot.select(key), "hot")
     if hot.isEmpty():
-        return rows.withColumn("cuts", F.lit(None).cast("map<int,int>"))
-    banded = rows.join(hot, key).select(key, weight.alias("_w"), F.explode(_bands(percent)).alias("_band"))
-    banded = banded.groupBy(key, "_band").agg(F.ceil(F.sum("_w") / limit).cast("int").alias("_blocks"))
-    cuts = banded.groupBy(key).agg(F.map_from_entries(F.collect_list(F.struct("_band", "_blocks"))).alias("cuts"))
-    return rows.join(cuts, key, "left")
-
-
-def _dealt(rows: DataFrame, percent: int) -> DataFrame:
-    """A row for every group that a row is compared in: adds band, low and high; rows with null ``cuts`` are in one."""
-    whole = F.array(F.struct(F.lit(-1).alias("band"), F.lit(1).alias("blocks")))
-    parts = F.transform(_bands(percent), lambda b: F.struct(b.alias("band"), F.element_at("cuts", b).alias("blocks")))
-    df = rows.withColumn("_part", F.explode(F.when(F.col("cuts").isNull(), whole).otherwise(parts))).drop("cuts")
-    df = df.withColumn("band", F.col("_part.band")).withColumn("_own", F.pmod(F.xxhash64("id"), F.col("_part.blocks")).cast("int"))
-    df = df.withColumn("_other", F.explode(F.sequence(F.lit(0), F.col("_part.blocks") - 1)))
-    return df.withColumn("low", F.least("_own", "_other")).withColumn("high", F.greatest("_own", "_other")).drop("_own", "_other", "_part")
+        return one(rows)
+    names = rows.columns
+    banded = rows.join(hot, key, "left_semi").select(*names, weight.alias("_w"), F.explode(_bands(percent)).alias("band"))
+    blocks = banded.groupBy(key, "band").agg(F.ceil(F.sum("_w") / limit).cast("int").alias("_blocks"))
+    df = banded.join(blocks, [key, "band"]).withColumn("_own", F.pmod(F.xxhash64("id"), F.col("_blocks")).cast("int"))
+    df = df.withColumn("_other", F.explode(F.sequence(F.lit(0), F.col("_blocks") - 1)))
+    df = df.select(*names, "band", F.least("_own", "_other").alias("low"), F.greatest("_own", "_other").alias("high"))
+    return one(rows.join(hot, key, "left_anti")).union(df)
 
 
 def link_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = PERCENT, shingle: int = SHINGLE) -> DataFrame:
@@ -421,8 +416,7 @@ def link_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     busy = storage.written(routed.groupBy("cell").agg(F.count(F.lit(1)).alias("m")).where("m > 1"), "busy")
     points = cells.where("cell is null").select("id", "point")
     hot = busy.where(F.col("m") > CELL_ROWS)
-    members = _with_cuts(routed.join(busy.select("cell"), "cell"), "cell", F.lit(1), hot, CELL_ROWS, percent)
-    members = _dealt(members.join(points, "id"), percent)
+    members = _dealt(routed.join(busy.select("cell"), "cell"), "cell", F.lit(1), hot, CELL_ROWS, percent).join(points, "id")
     parts = members.sparkSession.conf.get("spark.sql.shuffle.partitions")
     at = ["cell", "band", "low", "high"]
     members = members.select(*at, "id", "n", "point").repartition(int(parts), *at).sortWithinPartitions(*at)
@@ -436,7 +430,7 @@ def link_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     long = storage.written(long, "long")
     if not long.isEmpty():
         weight, large = F.col("n") / (FULL_LOAD / 2), long.where(F.col("w") / (FULL_LOAD / 2) > FINE_BYTES)
-        asked = _dealt(_with_cuts(grouped.join(long.select("component"), "component"), "component", weight, large, FINE_BYTES, percent), percent)
+        asked = _dealt(grouped.join(long.select("component"), "component"), "component", weight, large, FINE_BYTES, percent)
         asked = asked.select(*at[1:], "component", "id").join(points, "id").groupBy("component", *at[1:])
         finer = connected_components(asked.applyInArrow(_fine_links(percent), "u long, v long"))
         finer = finer.join(points.select("id", "n"), finer["node"] == F.col("id")).select("component", "id", "n")
@@ -445,7 +439,7 @@ def link_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     for table in (cells, busy, groups, long):
         storage.forget(docs.sparkSession, table)
     large = grouped.groupBy("component").agg(F.sum("n").alias("w")).where(F.col("w") > GROUP_SHINGLES)
-    grouped = _dealt(_with_cuts(grouped, "component", F.col("n"), large, GROUP_SHINGLES, percent), percent)
+    grouped = _dealt(grouped, "component", F.col("n"), large, GROUP_SHINGLES, percent)
     asked = grouped.join(first_of_id, "id").select("component", "band", "low", "high", "id", "text")
     verified = asked.groupBy("component", "band", "low", "high").applyInArrow(_verified_links(percent, shingle), "u long, v long")
     found = connected_components(verified)

@@ -49,3 +49,19 @@ def test_finer_counts_keep_all_links(spark, monkeypatch):
         monkeypatch.setattr(ngram_join, "FINE_BYTES", most)
         got = {r.doc_id: r for r in ngram_join.link_documents(frame(spark, texts)).collect()}
         assert [(got[i].n_shingles, got[i].component_id) for i in range(len(texts))] == [(len(s), r) for s, r in zip(sets, roots)]
+
+
+def test_only_rows_of_hot_keys_are_dealt(spark):
+    from pyspark.sql import functions as F
+
+    rows = spark.range(300).selectExpr("if(id < 40, 7L, id) as cell", "id", "100 + id % 3 as n")
+    hot = spark.createDataFrame([(7,)], "cell long")
+    got = ngram_join._dealt(rows, "cell", F.lit(1), hot, 8, 85)
+    cold = got.where("cell <> 7").collect()
+    assert sorted(r.id for r in cold) == list(range(40, 300)) and {(r.band, r.low, r.high) for r in cold} == {(-1, 0, 0)}
+    groups = {}
+    for r in got.where("cell = 7").collect():
+        groups.setdefault((r.band, r.low, r.high), set()).add(r.id)
+    # Any two of the hot key meet in a group.
+    assert all(any({a, b} <= g for g in groups.values()) for a in range(40) for b in range(a))
+    assert got._jdf.queryExecution().optimizedPlan().toString().count("isnull(cuts") == 0
