@@ -126,3 +126,17 @@ def test_group_dice_is_pair_dice():
     d = K.dice_matrix(w, w)
     assert np.allclose(np.diag(d), 1) and np.isclose(K.group_dice(w[[1, 4]]), d[1, 4])
     assert K.dice_matrix(np.zeros((1, 16), np.uint64), w)[0, 0] == 0.0
+
+
+def test_blocks_above_what_a_task_holds_are_clustered_alike(monkeypatch):
+    rng = np.random.default_rng(4)
+    seeds = rng.integers(0, 2**63, (12, 4)).astype(np.uint64)
+    words = seeds[rng.integers(0, 12, 90)] & ~(np.uint64(1) << rng.integers(0, 64, (90, 4)).astype(np.uint64))
+    party, group = np.arange(90) % 5, np.sort(rng.integers(0, 3, 90))
+    same = (group[:, None] == group) * K.dice_matrix(words, words)
+    want = K.early_block(party, [3, 1, 4, 0, 2], lambda a, b: same[np.ix_(a, b)], 0.6).tolist()
+    assert K.early_block(party, [3, 1, 4, 0, 2], K.similarities(words, group), 0.6).tolist() == want
+    monkeypatch.setattr(K, "HELD_MASKS", 3)
+    monkeypatch.setattr(K, "SCORED", 40)
+    assert K.early_block(party, [3, 1, 4, 0, 2], K.similarities(words, group), 0.6).tolist() == want
+    assert len(set(want)) < 90
