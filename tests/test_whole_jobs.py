@@ -26,3 +26,23 @@ def test_bit_tree_splits_until_sizes_stop_it_in_tasks_and_by_levels(spark):
     for held in (10**6, 30):
         got = blocking.bit_tree(m.drop("bits"), 2, 4, task_records=held)
         assert {r.rec_id: r.block for r in got.collect()} == want
+
+
+def test_mappings_of_masks_are_those_of_their_edges(spark):
+    """With few partners kept and small tiles, so that rows are computed anew and blocks are many tiles."""
+    from functools import partial
+
+    from blindmatch.operators import assignment, kernels
+    from blindmatch.queries import linkage
+
+    lazy = linkage.edges(spark, SMALL)
+    table = lazy.table().cache()
+    small = assignment.CloseEdges(lazy.masked, 0.55, partial(W.tiles, tile=3), None)
+    rows = lambda df: sorted(map(tuple, df.collect()))
+    for e in (lazy, small):
+        assert rows(assignment.assign_best_link(e)) == rows(assignment.assign_best_link(table)) != []
+        assert rows(assignment.left_vertices(e)) == rows(table.select("block", "x").distinct())
+    assert rows(assignment.assign_greedy(small)) == rows(assignment.assign_greedy(table)) != []
+    want = rows(assignment.assign_best_first(table))
+    assert rows(assignment.assign_best_first(small)) == want
+    assert rows(small.mapped(lambda a, b, least: kernels.heaviest_masks(a, b, least, kept=1))) == want
