@@ -46,3 +46,25 @@ def test_mappings_of_masks_are_those_of_their_edges(spark):
     want = rows(assignment.assign_best_first(table))
     assert rows(assignment.assign_best_first(small)) == want
     assert rows(small.mapped(lambda a, b, least: kernels.heaviest_masks(a, b, least, kept=1))) == want
+
+
+def test_late_mapping_of_blocks_beyond_a_held_matrix(spark):
+    """A block of more than 4,000 records was an error; clusters are those of its parts, with the seeds of the order of parties."""
+    from blindmatch.operators import clustering
+
+    rng = np.random.default_rng(3)
+    own = rng.integers(0, 2**62, (1400, 16))
+    rows = [("b", p, p * 10_000 + i, [int(x) for x in own[i]]) for p in (1, 2, 3) for i in range(1400)]
+    m = spark.createDataFrame(rows, "block string, party int, rec_id long, words array<long>")
+    found = clustering.cluster_late(m, ord=[2, 3, 1]).collect()
+    assert len(found) == 4200 and all(r.cluster_id == 20_000 + r.rec_id % 10_000 and r.cluster_size == 3 for r in found)
+
+
+def test_quality_of_all_sizes_is_that_of_each(spark):
+    from blindmatch.operators import clustering, measures
+
+    people = W.parties(spark, SMALL, 5, 20)
+    t = W.truth(people).cache()
+    found = clustering.cluster_late(W.masked(people)).cache()
+    got = {r.s_m: tuple(r)[1:] for r in measures.quality_by_size(found, t, range(2, 8)).collect()}
+    assert got == {k: tuple(measures.quality(found, t, k).first()) for k in range(2, 8)}
