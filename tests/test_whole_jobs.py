@@ -68,3 +68,22 @@ def test_quality_of_all_sizes_is_that_of_each(spark):
     found = clustering.cluster_late(W.masked(people)).cache()
     got = {r.s_m: tuple(r)[1:] for r in measures.quality_by_size(found, t, range(2, 8)).collect()}
     assert got == {k: tuple(measures.quality(found, t, k).first()) for k in range(2, 8)}
+
+
+def test_only_close_clusters_are_scored_and_none_is_missed(monkeypatch):
+    from blindmatch.operators import kernels
+
+    rng = np.random.default_rng(5)
+    for t in range(40):
+        n = int(rng.integers(2, 60))
+        seeds = rng.integers(0, 2**63, (max(1, n // 4), 2)).astype(np.uint64)
+        noise = np.bitwise_and.reduce(rng.integers(0, 2**63, (4, n, 2)).astype(np.uint64), axis=0) * (rng.random((n, 1)) < 0.7)
+        words, party = seeds[rng.integers(0, len(seeds), n)] ^ noise.astype(np.uint64), rng.integers(1, 6, n)
+        for how in ("average", "min", "max"):
+            for s_t in (0.6, 0.8):
+                monkeypatch.setattr(kernels, "HELD_MASKS", 10**6)
+                want = kernels.early_block(party, [3, 1, 2, 5, 4], kernels.similarities(words), s_t, how)
+                monkeypatch.setattr(kernels, "HELD_MASKS", 0)
+                sim = kernels.similarities(words)
+                assert sim.masks is not None
+                assert (kernels.early_block(party, [3, 1, 2, 5, 4], sim, s_t, how) == want).all()
