@@ -87,3 +87,17 @@ def test_only_close_clusters_are_scored_and_none_is_missed(monkeypatch):
                 sim = kernels.similarities(words)
                 assert sim.masks is not None
                 assert (kernels.early_block(party, [3, 1, 2, 5, 4], sim, s_t, how) == want).all()
+
+
+def test_large_parts_are_mapped_on_their_edges_as_on_a_matrix(monkeypatch):
+    from blindmatch.operators import kernels
+
+    rng = np.random.default_rng(6)
+    for t in range(150):
+        n, m = rng.integers(2, 25, 2)
+        x, y = np.nonzero(rng.random((n, m)) < rng.choice([0.15, 0.4, 0.9]))
+        w = rng.integers(1, 6, len(x)) / 7 if t % 2 else rng.random(len(x)) + 0.01
+        monkeypatch.setattr(kernels, "DENSE_CELLS", 10**9)
+        want = kernels.best_mapping(x, y, w).tolist()
+        monkeypatch.setattr(kernels, "DENSE_CELLS", 0)
+        assert kernels.best_mapping(x, y, w).tolist() == want
